@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 from .base import crc_fold, table
 from .exact_dedup import exact_duplicates
 from .mixing import mix
+from .sentencepiece_viterbi import encode
 from .sharding import stratified_shards
 from .url_filter import filter_urls
 
@@ -90,3 +91,8 @@ FROM documents WINDOW w AS (PARTITION BY coalesce(text, ''))"""
 @query("op8_digest_tree_merge", SQL8)
 def op8(spark, sf_dir):
     return exact_duplicates(table(spark, sf_dir, "documents"))
+
+
+@query("op9_unigram_viterbi")
+def op9(spark, sf_dir):
+    return encode(table(spark, sf_dir, "documents"))
