@@ -6,6 +6,7 @@ from typing import NamedTuple
 
 from pyspark.sql import functions as F
 
+from . import toxic_crf
 from .base import crc_fold, table
 from .exact_dedup import exact_duplicates
 from .mixing import mix
@@ -96,3 +97,14 @@ def op8(spark, sf_dir):
 @query("op9_unigram_viterbi")
 def op9(spark, sf_dir):
     return encode(table(spark, sf_dir, "documents"))
+
+
+def judged(scores, least):
+    """Contract columns of a scored table: id, held_out, score, predicted."""
+    return scores.select("doc_id", (crc_fold(F.col("doc_id")) == 1).alias("held_out"), "score", (F.col("score") >= least).cast("int").alias("predicted"))
+
+
+@query("op10_toxic_crf")
+def op10(spark, sf_dir):
+    docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
+    return judged(toxic_crf.score(docs, toxic_crf.train(docs, labels, trains=crc_fold(F.col("doc_id")) != 1)), 0.7)
