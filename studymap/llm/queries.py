@@ -6,7 +6,7 @@ from typing import NamedTuple
 
 from pyspark.sql import functions as F
 
-from . import toxic_crf
+from . import latent_quality, toxic_crf
 from .base import crc_fold, table
 from .exact_dedup import exact_duplicates
 from .mixing import mix
@@ -108,3 +108,9 @@ def judged(scores, least):
 def op10(spark, sf_dir):
     docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
     return judged(toxic_crf.score(docs, toxic_crf.train(docs, labels, trains=crc_fold(F.col("doc_id")) != 1)), 0.7)
+
+
+@query("op4_latent_neighbours")
+def op4(spark, sf_dir):
+    docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
+    return judged(latent_quality.score(docs, latent_quality.train(docs, labels, trains=crc_fold(F.col("doc_id")) != 1)), 0.5)
