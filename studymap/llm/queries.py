@@ -12,6 +12,7 @@ from .exact_dedup import exact_duplicates
 from .mixing import mix
 from .sentencepiece_viterbi import encode
 from .sharding import stratified_shards
+from .topk_search import top_k
 from .url_filter import filter_urls
 
 
@@ -114,3 +115,15 @@ def op10(spark, sf_dir):
 def op4(spark, sf_dir):
     docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
     return judged(latent_quality.score(docs, latent_quality.train(docs, labels, trains=crc_fold(F.col("doc_id")) != 1)), 0.5)
+
+
+SQL2 = """
+WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: floor(64 * x::DOUBLE)) AS v FROM embeddings WHERE embedding IS NOT NULL),
+p AS (SELECT q.vec_id AS query_id, c.vec_id, list_inner_product(q.v, c.v)::BIGINT AS score FROM v q JOIN v c ON q.vec_id % 20 = 0 AND c.vec_id <> q.vec_id),
+r AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS rank FROM p)
+SELECT query_id, rank::INT AS rank, vec_id, score FROM r WHERE rank <= 20"""
+
+
+@query("op2_norm_bucket_search", SQL2)
+def op2(spark, sf_dir):
+    return top_k(table(spark, sf_dir, "embeddings"), lambda i: i % 20 == 0, k=20)
