@@ -10,6 +10,7 @@ from . import latent_quality, toxic_crf
 from .base import crc_fold, table
 from .exact_dedup import exact_duplicates
 from .mixing import mix
+from .near_dedup import near_duplicates
 from .sentencepiece_viterbi import encode
 from .sharding import stratified_shards
 from .topk_search import top_k
@@ -127,3 +128,20 @@ SELECT query_id, rank::INT AS rank, vec_id, score FROM r WHERE rank <= 20"""
 @query("op2_norm_bucket_search", SQL2)
 def op2(spark, sf_dir):
     return top_k(table(spark, sf_dir, "embeddings"), lambda i: i % 20 == 0, k=20)
+
+
+SQL3 = r"""
+WITH RECURSIVE t AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS w FROM documents),
+s AS (SELECT doc_id, list_distinct(CASE WHEN len(w) = 0 THEN [] WHEN len(w) < 5 THEN [array_to_string(w, ' ')]
+  ELSE list_transform(range(1, len(w) - 3), lambda i: array_to_string(w[i:i + 4], ' ')) END) AS sh FROM t),
+g AS (SELECT doc_id, unnest(sh) AS x FROM s),
+p AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS n FROM g a JOIN g b ON a.x = b.x AND a.doc_id < b.doc_id GROUP BY 1, 2),
+l AS (SELECT a, b FROM p JOIN s x ON x.doc_id = a JOIN s y ON y.doc_id = b WHERE 100 * n >= 75 * (len(x.sh) + len(y.sh) - n)),
+e AS (SELECT a, b FROM l UNION SELECT b, a FROM l),
+r(doc_id, c) AS (SELECT doc_id, doc_id FROM s UNION SELECT e.b, r.c FROM r JOIN e ON e.a = r.doc_id WHERE r.c < e.b)
+SELECT s.doc_id, len(s.sh)::BIGINT AS n_shingles, m.c AS component_id, s.doc_id = m.c AS kept FROM s JOIN (SELECT doc_id, min(c) AS c FROM r GROUP BY doc_id) m USING (doc_id)"""
+
+
+@query("op3_min_max_near_dedup", SQL3)
+def op3(spark, sf_dir):
+    return near_duplicates(table(spark, sf_dir, "documents"))
