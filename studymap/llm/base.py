@@ -14,11 +14,20 @@ WORD = r"[^ \t-\r]+"
 MASK = (1 << 64) - 1
 
 
-def checkpointed(df: DataFrame) -> DataFrame:
-    """Cut lineage through the folder that all executors share; a folder is set only where the session has none."""
-    context = df.sparkSession.sparkContext
-    if not context.getConf().get("spark.checkpoint.dir", None) and context._jsc.sc().getCheckpointDir().isEmpty():
+def work_folder(spark: SparkSession) -> str:
+    """The folder that driver and executors share, from spark.checkpoint.dir; one is set only where the session has none."""
+    context = spark.sparkContext
+    named = context.getConf().get("spark.checkpoint.dir", None)
+    if named:
+        return named.rstrip("/")
+    if context._jsc.sc().getCheckpointDir().isEmpty():
         context.setCheckpointDir(tempfile.mkdtemp(prefix="studymap-checkpoint-"))
+    return context._jsc.sc().getCheckpointDir().get().rstrip("/")
+
+
+def checkpointed(df: DataFrame) -> DataFrame:
+    """Cut lineage through the shared folder."""
+    work_folder(df.sparkSession)
     return df.checkpoint(eager=True)
 
 

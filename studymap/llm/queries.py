@@ -13,6 +13,7 @@ from .mixing import mix
 from .near_dedup import near_duplicates
 from .sentencepiece_viterbi import encode
 from .sharding import stratified_shards
+from .substring_dedup import remove_repeats
 from .topk_search import top_k
 from .url_filter import filter_urls
 
@@ -145,3 +146,19 @@ SELECT s.doc_id, len(s.sh)::BIGINT AS n_shingles, m.c AS component_id, s.doc_id
 @query("op3_min_max_near_dedup", SQL3)
 def op3(spark, sf_dir):
     return near_duplicates(table(spark, sf_dir, "documents"))
+
+
+SQL7 = r"""
+WITH t AS (SELECT doc_id, regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+') AS w FROM documents),
+win AS (SELECT doc_id, i, array_to_string(w[i:i + 49], ' ') AS x FROM t, unnest(range(1, len(w) - 48)) AS u(i)),
+m AS (SELECT x, min(doc_id) AS lo FROM win GROUP BY x),
+f AS (SELECT doc_id, i FROM win JOIN m USING (x) WHERE lo < doc_id),
+gone AS (SELECT DISTINCT doc_id, i + j AS pos FROM f, unnest(range(0, 50)) AS u(j)),
+words AS (SELECT doc_id, unnest(w) AS word, unnest(range(1, len(w) + 1)) AS pos FROM t),
+kept AS (SELECT doc_id, string_agg(word, ' ' ORDER BY pos) AS k, count(*) AS n FROM words ANTI JOIN gone USING (doc_id, pos) GROUP BY doc_id)
+SELECT doc_id, len(w)::BIGINT AS n_words, (len(w) - coalesce(n, 0))::BIGINT AS n_removed, sha256(coalesce(k, '')) AS kept_sha256 FROM t LEFT JOIN kept USING (doc_id)"""
+
+
+@query("op7_super_kmer_dedup", SQL7)
+def op7(spark, sf_dir):
+    return remove_repeats(table(spark, sf_dir, "documents"))
