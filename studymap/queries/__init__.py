@@ -8,7 +8,7 @@ from typing import NamedTuple
 
 from pyspark.sql import DataFrame, SparkSession
 
-MODULES = ()
+MODULES = ("orders_q",)
 
 
 class Query(NamedTuple):
