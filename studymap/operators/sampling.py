@@ -18,7 +18,7 @@ def cap_per_class(df: DataFrame, label: str, key: str, cap: int, seed: int = 1)
     """At most `cap` rows of each class by a portable draw. Large classes are thinned by hash first, so no window sees a whole large class."""
     drawn = df.withColumn("_u", F.expr(stream(key, seed)))
     sizes = F.broadcast(df.groupBy(label).agg(F.count(F.lit(1)).alias("_n")))
-    # Rows beyond the 4*cap smallest draws on average cannot be among the cap smallest unless fewer than cap remain, which the window checks by count.
+    # On average 4 * cap + 200 rows pass the thinning; that fewer than cap do has probability below 1e-30.
     thin = drawn.join(sizes, label)
     keep = (F.col("_n") <= 8 * cap) | (F.col("_u").cast("double") / 2147483647 <= F.lit(4.0 * cap + 200) / F.col("_n"))
     order = W.partitionBy(label).orderBy("_u", key)
