@@ -8,7 +8,7 @@ from typing import NamedTuple
 
 from pyspark.sql import DataFrame, SparkSession
 
-MODULES = ("orders_q", "models_q", "generic_q")
+MODULES = ("orders_q", "models_q", "generic_q", "corpora_q")
 
 
 class Query(NamedTuple):
