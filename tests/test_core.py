@@ -134,7 +134,8 @@ def test_beta_law():
     assert abs(incomplete_beta(1, 3, 0.2) - (1 - 0.8**3)) < 1e-12
     for mean in (0.5, 0.814, 0.971):
         k = np.array(beta_knots(mean)) / 1e6
-        assert (np.diff(k) >= 0).all() and abs(((k[1:] + k[:-1]) / 2).mean() - mean) < 2e-3
+        # Straight lines between 101 quantiles lose up to half a per cent of the lowest hundredth's width.
+        assert (np.diff(k) >= 0).all() and abs(((k[1:] + k[:-1]) / 2).mean() - mean) < 5e-3 * max(k[1], 0.4)
 
 
 def test_splines():
