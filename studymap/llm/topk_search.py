@@ -123,13 +123,10 @@ def top_k(vectors: DataFrame, is_query, k: int = 20, id_col: str = "vec_id", vec
     stored = x.withColumn("_part", F.pmod(F.xxhash64(F.lit(1), "_id"), F.element_at(parts, F.col("_bucket"))).cast("int"))
     stored = stored.withColumn("_qb", F.explode(F.sequence(F.lit(0), F.lit(q_blocks - 1)))).select("_qb", "_bucket", "_part", "_id", "_v", "_len")
     # Queries go to every block of vectors: one row for each (query, block), of which there are n / `block`.
-    units = [(r["_bucket"], p) for r in sizes for p in range(max(1, -(-r["n"] // block)))] or [(0, 0)]
-    where = F.array(*(F.struct(F.lit(b).alias("b"), F.lit(p).alias("p")) for b, p in units)) if len(units) <= 64 else None
-    if where is None:
-        rows = x.select("_bucket").distinct().withColumn("_part", F.explode(F.sequence(F.lit(0), F.element_at(parts, F.col("_bucket")) - 1)))
-        where = F.lit(rows.agg(F.collect_list(F.struct(F.col("_bucket").alias("b"), F.col("_part").alias("p"))).alias("u")).first()["u"])
-    able = (F.col("_u.b") < 0) | (F.col("_least") <= F.col("_len") * F.pow(F.lit(RATIO), F.col("_u.b") + 1) * (1 + 1e-9))
-    sent = asked.withColumn("_u", F.explode(where)).where(able).select("_qb", F.col("_u.b").alias("_bucket"), F.col("_u.p").alias("_part"), "_id", "_v", "_len", "_least")
+    buckets = F.array(*(F.lit(r["_bucket"]) for r in sizes)) if sizes else F.array(F.lit(0))
+    able = (F.col("_bucket") < 0) | (F.col("_least") <= F.col("_len") * F.pow(F.lit(RATIO), F.col("_bucket") + 1) * (1 + 1e-9))
+    sent = asked.withColumn("_bucket", F.explode(buckets)).where(able)
+    sent = sent.withColumn("_part", F.explode(F.sequence(F.lit(0), F.element_at(parts, F.col("_bucket")) - 1))).select("_qb", "_bucket", "_part", "_id", "_v", "_len", "_least")
 
     def unit(key, queries, block_):
         if not len(queries) or not len(block_):
