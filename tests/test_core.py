@@ -198,3 +198,14 @@ def test_catalogue(spark):
     assert {(r["keyword"], r["change"]) for r in keywords.difference(kw, kw.where("label <> 'a'")).collect()} == {("upper spine", "removed")}
     with pytest.raises(ValueError):
         text.checked_broadcast(kw, 2)
+
+
+def test_study_folder_source(spark, tmp_path):
+    from studymap.sources.files import StudyFolder
+
+    (tmp_path / "a.hdr").write_text("Code: C001\nDescription: red: widget\nnoise\n")
+    (tmp_path / "b.hdr").write_text("")
+    (tmp_path / "c.txt").write_text("Code: ignored\n")
+    spark.dataSource.register(StudyFolder)
+    got = {tuple(r) for r in spark.read.format("study_folder").option("path", str(tmp_path)).load().collect()}
+    assert got == {("a.hdr", "Code", "C001"), ("a.hdr", "Description", "red: widget")}
