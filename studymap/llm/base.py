@@ -57,7 +57,7 @@ def lower_words_of(text: str | None) -> list[bytes]:
 class WordHashes(dict):
     """64-bit hashes of words, kept for up to `room` distinct words."""
 
-    def __init__(self, room: int = 400_000, seed: int = 0):
+    def __init__(self, room: int = 150_000, seed: int = 0):
         self.room, self.seed = room, seed
 
     def __missing__(self, word: bytes) -> int:
@@ -79,13 +79,21 @@ def mixed(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-def rolling(hashes: np.ndarray, k: int) -> np.ndarray:
-    """One 64-bit hash for each run of k consecutive word hashes; a shorter input has none."""
+def rolling(hashes: np.ndarray, k: int, seed: int = 0) -> np.ndarray:
+    """One 64-bit hash for each run of k consecutive word hashes, by doubling; a shorter input has none."""
     n = len(hashes) - k + 1
     if n <= 0:
         return np.empty(0, np.uint64)
-    out = np.zeros(n, np.uint64)
-    factor = np.uint64(0x9E3779B97F4A7C15)
-    for j in range(k):
-        out = mixed(out * factor + hashes[j : j + n]) if j == k - 1 else out * factor + (hashes[j : j + n] ^ (hashes[j : j + n] >> np.uint64(29)))
-    return out
+    x, have, factor = mixed(hashes + np.uint64(seed + 1)), 1, 0x9E3779B97F4A7C15
+    while have < k:
+        step = min(have, k - have)  # the last two halves may overlap
+        x = x[: len(x) - step] * np.uint64(factor) + x[step:]
+        have, factor = have + step, factor * factor & MASK
+    return mixed(x)
+
+
+def ragged(starts: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """Indexes of all cells of runs that begin at `starts` and hold `counts` cells."""
+    total = int(counts.sum())
+    ends = np.cumsum(counts)
+    return np.arange(total) + np.repeat(starts - (ends - counts), counts)

@@ -21,6 +21,8 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from .base import ragged
+
 MARK = "▁"
 DEFAULT_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 NORMAL, UNKNOWN, CONTROL, USER, BYTE = 1, 2, 3, 4, 6
@@ -171,13 +173,6 @@ def segment(chunks: list[bytes], v: Vocabulary) -> tuple[np.ndarray, np.ndarray]
     return flat[ragged(start, counts)], counts
 
 
-def ragged(starts: np.ndarray, counts: np.ndarray) -> np.ndarray:
-    """Indexes of all cells of runs that begin at `starts` and hold `counts` cells."""
-    total = int(counts.sum())
-    ends = np.cumsum(counts)
-    return np.arange(total) + np.repeat(starts - (ends - counts), counts)
-
-
 def _segment_block(chunks: list[bytes], sizes: np.ndarray, v: Vocabulary) -> tuple[np.ndarray, np.ndarray]:
     base, check, value = v.trie.base, v.trie.check, v.trie.value
     n, width = len(chunks), int(sizes.max())

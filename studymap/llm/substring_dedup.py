@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import WordHashes, checkpointed, mixed, rolling, words_of
+from .base import WordHashes, checkpointed, ragged, rolling, words_of
 
 SKMER = "array<struct<v:bigint,s:int,c:int>>"
 
@@ -73,7 +73,7 @@ def _packed_of(words: list[bytes], cells, window: int):
         yield x, packed, xxhash.xxh128_digest(packed)
 
 
-def _pack(hit: DataFrame, window: int, most_bytes: int = 32_000_000) -> DataFrame:
+def _pack(hit: DataFrame, window: int, most_bytes: int = 8_000_000) -> DataFrame:
     """Packed super-k-mers with the least document that has them, combined within the task (flushed at `most_bytes`)."""
 
     def run(batches):
@@ -126,26 +126,29 @@ def _places(hit: DataFrame, window: int) -> DataFrame:
     return hit.select("_id", "_th", "_t", "_k").mapInArrow(run, "_id long, _th long, _s int, _p1 long, _p2 long")
 
 
-def _judge(packed: list[bytes], least: np.ndarray, window: int, cache: WordHashes, other: WordHashes) -> list[np.ndarray]:
+def _judge(packed: list[bytes], least: np.ndarray, window: int, cache: WordHashes) -> list[np.ndarray]:
     """For each packed string, the least document of each of its windows among all strings given."""
-    words = [p.split() for p in packed]
-    counts = np.array([len(w) - window + 1 for w in words])
-    first = np.concatenate([rolling(cache.of(w), window) for w in words])
-    second = np.concatenate([rolling(other.of(w), window) for w in words])
+    parts = [cache.of(p.split()) for p in packed]
+    sizes = np.fromiter(map(len, parts), np.int64, len(parts))
+    counts = sizes - window + 1
+    flat = np.concatenate(parts)
+    inside = ragged(np.cumsum(sizes) - sizes, counts)  # first words of windows that end in their own string
+    first, second = rolling(flat, window)[inside], rolling(flat, window, seed=1)[inside]
     mine = np.repeat(least, counts)
     order = np.lexsort((second, first))
-    new = np.concatenate([[True], (first[order][1:] != first[order][:-1]) | (second[order][1:] != second[order][:-1])])
+    a, b = first[order], second[order]
+    new = np.concatenate([[True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])])
     lows = np.minimum.reduceat(mine[order], np.flatnonzero(new))
     out = np.empty(len(mine), np.int64)
     out[order] = lows[np.cumsum(new) - 1]
     return np.split(out, np.cumsum(counts)[:-1])
 
 
-def _buckets(packed: DataFrame, window: int, least_bytes: int = 4_000_000) -> DataFrame:
+def _buckets(packed: DataFrame, window: int, least_bytes: int = 2_000_000) -> DataFrame:
     """Rows sorted by minimiser within their partition -> (_p1, _p2, _mins) of every distinct string."""
 
     def run(batches):
-        cache, other = WordHashes(), WordHashes(seed=1)
+        cache = WordHashes()
 
         def done(rows):
             joined: dict[tuple[int, int], list] = {}
@@ -153,7 +156,7 @@ def _buckets(packed: DataFrame, window: int, least_bytes: int = 4_000_000) -> Da
                 row = joined.setdefault((p1, p2), [string, low])
                 row[1] = min(row[1], low)
             keys = np.array(list(joined), np.int64)
-            mins = _judge([r[0] for r in joined.values()], np.array([r[1] for r in joined.values()], np.int64), window, cache, other)
+            mins = _judge([r[0] for r in joined.values()], np.array([r[1] for r in joined.values()], np.int64), window, cache)
             offsets = np.concatenate([[0], np.cumsum([len(m) for m in mins])])
             return pa.RecordBatch.from_arrays([pa.array(keys[:, 0]), pa.array(keys[:, 1]), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(np.concatenate(mins)))], names=["_p1", "_p2", "_mins"])
 
