@@ -8,8 +8,9 @@ document at the border is taken if at least half of it fits, so a source misses
 Targets are found by water filling over the table of sources (one row per source): weights share the total, no source goes beyond `cap` times its
 size, and the excess is shared by weight among the others.
 
-Prefix sums need no source in one task: sizes are summed by (source, slice of the key range), exclusive sums over at most `slices` rows a source
-give offsets, and running sums stay inside a slice.
+Prefix sums need no source in one task: sizes are summed by (source, slice), exclusive sums over the slices of a source give offsets, and running sums stay
+inside a slice. A doubling of -ln(u)/w holds `slices` slices: none expects more than 0.26 / `slices` of its source's rows of one weight, whatever that
+weight, and a source has some 60 * `slices` of them at most.
 
 Null texts have size 0 and are taken in complete epochs only as 0 words; a null source is a source, last in order; null or non-positive weights count
 as `least_weight`. Ties in key fall to the identifier. An empty table gives an empty result.
@@ -48,11 +49,12 @@ def source_targets(sizes: DataFrame, weights=(5, 2, 1), cap: int = 3) -> DataFra
     return x.select("_s", "_source_size", F.least(F.col("_limit"), F.coalesce(level * F.col("_w"), F.col("_limit"))).alias("_target"))
 
 
-def mix_decisions(rows: DataFrame, weights=(5, 2, 1), cap: int = 3, seed: int = 11, slices: int = 1024, least_weight: float = 0.05) -> DataFrame:
+def mix_decisions(rows: DataFrame, weights=(5, 2, 1), cap: int = 3, seed: int = 11, slices: int = 512, least_weight: float = 0.05) -> DataFrame:
     """Rows with `_id`, `_s` (source), `_size`, `_weight` gain `_source_size`, `_target` and `_copies`."""
     x = rows.withColumn("_u", (F.pmod(F.xxhash64(F.lit(seed), F.col("_id").cast("string")), F.lit(1 << 52)) + 0.5) / float(1 << 52))
     weight = F.greatest(F.coalesce(F.nanvl(F.col("_weight"), F.lit(least_weight)), F.lit(least_weight)), F.lit(least_weight))
-    x = x.withColumn("_key", F.pow("_u", 1 / weight)).withColumn("_slice", F.floor((1 - F.col("_key")) * slices).cast("int")).drop("_u", "_weight")
+    # -ln(u)/w orders as the key u^(1/w) does, from the other end, and doesn't underflow; equal steps of its logarithm are slices of bounded share at every weight.
+    x = x.withColumn("_e", -F.log("_u") / weight).withColumn("_slice", F.floor(F.log2("_e") * slices).cast("int")).drop("_u", "_weight")
     x = x.withColumn("_g", F.struct(F.col("_s").alias("v")))
     sums = x.groupBy("_g", "_slice").agg(F.sum("_size").alias("_in"))
     whole = W.partitionBy("_g")
@@ -60,16 +62,16 @@ def mix_decisions(rows: DataFrame, weights=(5, 2, 1), cap: int = 3, seed: int =
     sizes = sums.groupBy("_g").agg(F.max("_source_size").alias("_source_size")).select(F.col("_g.v").alias("_s"), "_source_size")
     targets = source_targets(sizes, weights, cap).select(F.struct(F.col("_s").alias("v")).alias("_g"), "_target")
     plan = sums.join(targets, "_g")
-    inside = W.partitionBy("_g", "_slice").orderBy(F.col("_key").desc(), "_id").rowsBetween(W.unboundedPreceding, W.currentRow)
+    inside = W.partitionBy("_g", "_slice").orderBy("_e", "_id").rowsBetween(W.unboundedPreceding, W.currentRow)
     x = x.join(plan, ["_g", "_slice"]).withColumn("_start", F.col("_before") + F.sum("_size").over(inside) - F.col("_size"))
     epochs = F.least(F.floor(F.col("_target") / F.col("_source_size") + 1e-12), F.lit(cap))
     epochs = F.when(F.col("_source_size") > 0, epochs).otherwise(F.lit(1))
     rest = F.col("_target") - epochs * F.col("_source_size")
     more = (F.col("_start") + F.col("_size") / 2 <= rest) & (epochs < cap) & (rest > 0) & (F.col("_size") > 0)
-    return x.withColumn("_copies", (epochs + F.when(more, 1).otherwise(0)).cast("int")).drop("_g", "_slice", "_before", "_start", "_key")
+    return x.withColumn("_copies", (epochs + F.when(more, 1).otherwise(0)).cast("int")).drop("_g", "_slice", "_before", "_start", "_e")
 
 
-def mix(docs: DataFrame, weights=(5, 2, 1), cap: int = 3, id_col: str = "doc_id", source_col: str = "source", text_col: str = "text", weight_col: str | None = None, seed: int = 11, slices: int = 1024) -> DataFrame:
+def mix(docs: DataFrame, weights=(5, 2, 1), cap: int = 3, id_col: str = "doc_id", source_col: str = "source", text_col: str = "text", weight_col: str | None = None, seed: int = 11, slices: int = 512) -> DataFrame:
     """One row per input row: id, size, source_size, target, taken (words the mix takes, repeats counted), copies."""
     size = word_count(F.col(text_col))
     weight = F.col(weight_col).cast("double") if weight_col else readability_weight(F.col(text_col), size)
@@ -84,7 +86,7 @@ def mix(docs: DataFrame, weights=(5, 2, 1), cap: int = 3, id_col: str = "doc_id"
     )
 
 
-def mixed_documents(docs: DataFrame, weights=(5, 2, 1), cap: int = 3, id_col: str = "doc_id", source_col: str = "source", text_col: str = "text", weight_col: str | None = None, seed: int = 11, slices: int = 1024) -> DataFrame:
+def mixed_documents(docs: DataFrame, weights=(5, 2, 1), cap: int = 3, id_col: str = "doc_id", source_col: str = "source", text_col: str = "text", weight_col: str | None = None, seed: int = 11, slices: int = 512) -> DataFrame:
     """The mix itself: every document as often as it is taken, with exactly the input's columns."""
     names = docs.columns
     at = {n: f"_c{i}" for i, n in enumerate(names)}
