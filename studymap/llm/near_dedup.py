@@ -164,7 +164,7 @@ def _open_links(members: DataFrame, percent: int, block: int) -> DataFrame:
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, percent: int = 75, permutations: int = 80, rows: int = 4, seed: int = 17, block: int = 512) -> DataFrame:
-    """One row per input row: id, n_shingles, component_id, kept (id = component_id), n_links (confirmed links of the row's class that were used)."""
+    """One row per input row: id, n_shingles, component_id, kept (id = component_id)."""
     sig = checkpointed(signatures(docs, shingle, permutations, rows, seed, id_col, text_col))
     classes = sig.where("_n > 0").groupBy("_n", "_f1", "_f2").agg(F.min("_id").alias("_rep"))
     classes = checkpointed(classes)
