@@ -7,10 +7,10 @@ gradient ascent on the penalised conditional log-likelihood, whose gradient is o
 sample of whole texts (`sample` documents of at most `longest` bytes each, half of each class, chosen by a hash of the identifier), fetched to the driver.
 
 Scoring covers every word of every text. Marginals come from forward and backward messages over all words of a block of documents at once: products of 2x2 matrices run in
-parallel over strips, then strips are joined. A document's score is a logistic function of the log of its summed marginals, its largest marginal and its
-length, fitted on the training documents; offending spans are maximal runs of words whose marginal is at least `span_least`, given as byte offsets into the UTF-8 text.
+parallel over strips, then strips are joined. A document's score is a logistic function of its summed marginals, its largest marginal and the summed marginals'
+share of its words (one chance hit in a long text is no evidence), fitted on the training documents; offending spans are maximal runs of words whose marginal is at least `span_least`, given as byte offsets into the UTF-8 text.
 
-Null and empty texts, and texts without words, get the score of no evidence and no spans. Rows with a null label don't train; a null identifier is scored like
+Null and empty texts, and texts without words, get the score of no evidence and no spans. Rows with a null label don't train; of training rows that repeat an identifier the least text trains; a null identifier is scored like
 any other. Without both classes among the training rows every score is the share of toxic rows (0 if there are none). Repeated rows are scored each; an empty table gives an empty result.
 """
 
@@ -29,6 +29,8 @@ BITS = 18
 #: Lengths, in characters, of the prefixes that stand beside the word itself as features and as lexicon units.
 PREFIXES = (3, 4, 5, 6, 7)
 WIDTH = 1 + len(PREFIXES)
+#: Features of a document's score.
+HEAD = 4
 
 
 def units(word: bytes) -> list[bytes]:
@@ -152,17 +154,20 @@ class ToxicModel:
 
 
 def document_features(prob: np.ndarray, sizes: np.ndarray) -> np.ndarray:
-    x = np.zeros((len(sizes), 3))
+    """Rows (1, log of summed marginals, largest marginal, log of the sum per 200 words)."""
+    x = np.zeros((len(sizes), HEAD))
     x[:, 0] = 1
     some = np.flatnonzero(sizes)
     if len(some):
         at = (np.cumsum(sizes) - sizes)[some]
-        x[some, 1] = np.log1p(np.add.reduceat(np.where(prob > 0.05, prob, 0), at))
+        total = np.add.reduceat(np.where(prob > 0.05, prob, 0), at)
+        x[some, 1] = np.log1p(total)
         x[some, 2] = np.maximum.reduceat(prob, at)
+        x[some, 3] = np.log1p(200 * total / (sizes[some] + 20))
     return x
 
 
-def fit(docs: list[list[bytes]], toxic: np.ndarray, least_odds: float = 4.0, least_docs: int = 8, rounds: int = 40, penalty: float = 1e-4, rate: float = 0.5) -> ToxicModel:
+def fit(docs: list[list[bytes]], toxic: np.ndarray, least_odds: float = 1.8, least_docs: int = 8, rounds: int = 40, penalty: float = 1e-4, rate: float = 0.5) -> ToxicModel:
     toxic = np.asarray(toxic, bool)
     if not len(toxic) or toxic.all() or not toxic.any():
         return ToxicModel(np.zeros(1 << BITS), np.zeros((2, 2)), 0.0, None, float(toxic.mean()) if len(toxic) else 0.0)
@@ -204,12 +209,12 @@ def fit(docs: list[list[bytes]], toxic: np.ndarray, least_odds: float = 4.0, lea
         bias += 0.3 * rate * gb / np.sqrt(seen_b)
     model = ToxicModel(weights, pair, bias, None)
     prob = marginals(bias + weights[table].sum(1)[word], starts, pair)[0]
-    x, head = document_features(prob, sizes), np.zeros(3)
+    x, head = document_features(prob, sizes), np.zeros(HEAD)
     share = np.where(toxic, 0.5 / n1, 0.5 / n0)
     for _ in range(50):  # Newton steps
         p = 1 / (1 + np.exp(-np.clip(x @ head, -30, 30)))
         grad = x.T @ (share * (toxic - p)) - 1e-3 * head
-        head = head + np.linalg.solve(x.T @ (x * (share * p * (1 - p))[:, None]) + 1e-3 * np.eye(3), grad)
+        head = head + np.linalg.solve(x.T @ (x * (share * p * (1 - p))[:, None]) + 1e-3 * np.eye(HEAD), grad)
     model.head = head
     return model
 
@@ -219,7 +224,10 @@ def bounded_sample(docs: DataFrame, labels: DataFrame, label: str, sample: int,
     known = labels.where(F.col(label).isNotNull() & trains).select(id_col, F.col(label).cast("int").alias("_y"), F.xxhash64(F.lit(3), id_col).alias("_h"))
     # Each side is a top-k report of fixed size.
     chosen = known.where("_y = 1").orderBy("_h", id_col).limit(sample // 2).unionByName(known.where("_y = 0").orderBy("_h", id_col).limit(sample - sample // 2))
-    return docs.where(F.octet_length(F.coalesce(F.col(text_col), F.lit(""))) <= longest).select(id_col, F.col(text_col).alias("_text")).join(F.broadcast(chosen.select(id_col, "_y").dropDuplicates([id_col])), id_col).select("_text", "_y", F.xxhash64(id_col).alias("_h"))
+    short = docs.where(F.octet_length(F.coalesce(F.col(text_col), F.lit(""))) <= longest).select(id_col, F.col(text_col).alias("_text"))
+    rows = short.join(F.broadcast(chosen.select(id_col, "_y").dropDuplicates([id_col])), id_col)
+    # One text for each identifier: rows that repeat it don't make the sample grow.
+    return rows.groupBy(id_col).agg(F.min("_text").alias("_text"), F.min("_y").alias("_y")).select("_text", "_y", F.xxhash64(id_col).alias("_h"))
 
 
 def train(docs: DataFrame, labels: DataFrame, label: str = "toxic", sample: int = 2400, longest: int = 40_000, trains=None, id_col: str = "doc_id", text_col: str = "text") -> ToxicModel:
