@@ -1,14 +1,15 @@
 """Toxic spans by a linear-chain conditional random field over words.
 
-Training. Only documents are labelled, so words get labels from a lexicon that the training documents themselves give: words and word beginnings whose smoothed log odds
-of document presence in toxic against clean documents reach `least_odds` in at least `least_docs` toxic documents. Words that are or begin with one are tagged 1 in a toxic document,
-all others 0. A two-state chain (clean, toxic) with hashed features (a word and its prefixes) and a full transition table is then fitted to those tags by
+Training. Only documents are labelled, so words get labels from a lexicon that the training documents themselves give: words and word beginnings that more toxic than clean documents
+hold, by a likelihood-ratio test of presence and by the ratio of the two rates, neither of which tightens as the classes get even. How much evidence is asked for is chosen among `levels`:
+a chain fitted to either half of the training documents judges the other half, and the level with the least loss is taken (the loosest of equal ones).
+Words that are or begin with a lexicon unit are tagged 1 in a toxic document, all others 0. A two-state chain (clean, toxic) with hashed features (a word and its prefixes) and a full transition table is then fitted to those tags by
 gradient ascent on the penalised conditional log-likelihood, whose gradient is observed minus expected counts from forward-backward marginals. The training documents are a bounded
 sample of whole texts (`sample` documents of at most `longest` bytes each, half of each class, chosen by a hash of the identifier), fetched to the driver.
 
 Scoring covers every word of every text. Marginals come from forward and backward messages over all words of a block of documents at once: products of 2x2 matrices run in
 parallel over strips, then strips are joined. A document's score is a logistic function of its summed marginals, its largest marginal and the summed marginals'
-share of its words (one chance hit in a long text is no evidence), fitted on the training documents; offending spans are maximal runs of words whose marginal is at least `span_least`, given as byte offsets into the UTF-8 text.
+share of its words (one chance hit in a long text is no evidence), fitted on the training documents as the other half's chain sees them; offending spans are maximal runs of words whose marginal is at least `span_least`, given as byte offsets into the UTF-8 text.
 
 Null and empty texts, and texts without words, get the score of no evidence and no spans. Rows with a null label don't train; of training rows that repeat an identifier the least text trains; a null identifier is scored like
 any other. Without both classes among the training rows every score is the share of toxic rows (0 if there are none). Repeated rows are scored each; an empty table gives an empty result.
@@ -16,8 +17,6 @@ any other. Without both classes among the training rows every score is the share
 
 from __future__ import annotations
 
-from collections import Counter
-
 import numpy as np
 import pandas as pd
 import xxhash
@@ -31,6 +30,8 @@ PREFIXES = (3, 4, 5, 6, 7)
 WIDTH = 1 + len(PREFIXES)
 #: Features of a document's score.
 HEAD = 4
+#: Levels of evidence for lexicon units, loosest first: least likelihood-ratio statistic of presence, least log ratio of the rates.
+LEVELS = ((15.0, 2.0), (15.0, 3.0), (24.0, 3.0), (40.0, 3.0))
 
 
 def units(word: bytes) -> list[bytes]:
@@ -167,28 +168,71 @@ def document_features(prob: np.ndarray, sizes: np.ndarray) -> np.ndarray:
     return x
 
 
-def fit(docs: list[list[bytes]], toxic: np.ndarray, least_odds: float = 4.0, least_docs: int = 8, rounds: int = 40, penalty: float = 1e-4, rate: float = 0.5) -> ToxicModel:
-    toxic = np.asarray(toxic, bool)
-    if not len(toxic) or toxic.all() or not toxic.any():
-        return ToxicModel(np.zeros(1 << BITS), np.zeros((2, 2)), 0.0, None, float(toxic.mean()) if len(toxic) else 0.0)
-    found = {w: units(w) for d in docs for w in set(d)}
-    inside, outside = Counter(), Counter()
-    for d, y in zip(docs, toxic):
-        (inside if y else outside).update({u for w in set(d) for u in found[w]})
-    n1, n0 = toxic.sum(), (~toxic).sum()
-    least = min(least_docs, max(2, n1 // 10))
-    lexicon = {u for u, k in inside.items() if k >= least and np.log((k + 0.5) / (n1 + 1)) - np.log((outside[u] + 0.5) / (n0 + 1)) >= least_odds}
-    tagged = {w for w, us in found.items() if not lexicon.isdisjoint(us)}
-    number = {w: i for i, w in enumerate(found)}
-    table = np.array([cells_of(w) for w in found], np.int64).reshape(-1, WIDTH)
-    sizes = np.fromiter(map(len, docs), np.int64, len(docs))
-    n = int(sizes.sum())
-    word = np.fromiter((number[w] for d in docs for w in d), np.int64, n)
-    tags = np.fromiter((y and w in tagged for d, y in zip(docs, toxic) for w in d), bool, n)
-    starts = np.zeros(n, bool)
+class Sample:
+    """Training documents as arrays: words, units of words, and the units each document holds."""
+
+    def __init__(self, docs: list[list[bytes]]):
+        number, unit_no, of_word = {}, {}, []
+        for d in docs:
+            for w in d:
+                if w not in number:
+                    number[w] = len(number)
+                    of_word.append([unit_no.setdefault(u, len(unit_no)) for u in units(w)])
+        self.table = np.array([cells_of(w) for w in number], np.int64).reshape(-1, WIDTH)
+        # The chain is fitted over the cells that occur; the last one is the padding.
+        self.cells, self.local = np.unique(np.append(self.table, (1 << BITS) - 1), return_inverse=True)
+        self.local = self.local[:-1].reshape(-1, WIDTH)
+        self.sizes = np.fromiter(map(len, docs), np.int64, len(docs))
+        self.word = np.fromiter((number[w] for d in docs for w in d), np.int64, int(self.sizes.sum()))
+        self.n_units = len(unit_no)
+        # Units of a word, padded with a unit that no document holds.
+        self.units = np.full((len(number), WIDTH), self.n_units, np.int64)
+        for i, us in enumerate(of_word):
+            self.units[i, : len(us)] = us
+        held, ends = [], np.cumsum(self.sizes)
+        for n, to in zip(self.sizes, ends):
+            us = np.unique(self.units[np.unique(self.word[to - n : to])])
+            held.append(us[us < self.n_units])
+        self.held_size = np.fromiter(map(len, held), np.int64, len(docs))
+        self.held = np.concatenate([*held, np.empty(0, np.int64)])
+
+    def words(self, chosen: np.ndarray) -> np.ndarray:
+        """Word numbers of the chosen documents in a row."""
+        return self.word[np.repeat(chosen, self.sizes)]
+
+
+def first_words(sizes: np.ndarray) -> np.ndarray:
+    starts = np.zeros(int(sizes.sum()), bool)
     starts[(np.cumsum(sizes) - sizes)[sizes > 0]] = True
-    weights, pair, bias = np.zeros(1 << BITS), np.zeros((2, 2)), -3.0
-    seen_w, seen_p, seen_b = np.full(1 << BITS, 1e-8), np.full((2, 2), 1e-8), 1e-8
+    return starts
+
+
+def evidence(sample: Sample, toxic: np.ndarray, chosen: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Of each unit: the likelihood-ratio statistic of its presence in toxic against clean documents (0 where clean ones hold it as often), and the smoothed log ratio of the two rates."""
+    of_doc = np.repeat(chosen & toxic, sample.held_size), np.repeat(chosen & ~toxic, sample.held_size)
+    k, c = (np.bincount(sample.held[m], minlength=sample.n_units).astype(float) for m in of_doc)
+    n1, n0 = float((chosen & toxic).sum()), float((chosen & ~toxic).sum())
+    p = np.maximum(k + c, 0.5) / (n1 + n0)
+
+    def part(seen, expected):
+        return np.where(seen > 0, seen * np.log(np.maximum(seen, 1e-9) / np.maximum(expected, 1e-12)), 0)
+
+    g = 2 * (part(k, n1 * p) + part(c, n0 * p) + part(n1 - k, n1 * (1 - p)) + part(n0 - c, n0 * (1 - p)))
+    # Both rates are smoothed by the same pseudo-document of the pooled rate, whatever the balance of the classes.
+    ratio = np.log((k + p) / (n1 + 1)) - np.log((c + p) / (n0 + 1))
+    return np.where(k * n0 > c * n1, g, 0), np.where(k + c > 0, ratio, 0)
+
+
+def fit_chain(sample: Sample, toxic: np.ndarray, chosen: np.ndarray, level: tuple[float, float], rounds: int, penalty: float, rate: float) -> ToxicModel:
+    """The chain without a document score, fitted to the chosen documents' tags at one level of evidence."""
+    g, ratio = evidence(sample, toxic, chosen)
+    lexicon = np.append((g >= level[0]) & (ratio >= level[1]), False)
+    word, sizes, table = sample.words(chosen), sample.sizes[chosen], sample.local
+    room = len(sample.cells)
+    tags = lexicon[sample.units].any(1)[word] & np.repeat(toxic[chosen], sizes)
+    starts = first_words(sizes)
+    weights, pair, bias = np.zeros(room), np.zeros((2, 2)), -3.0
+    seen_w, seen_p, seen_b = np.full(room, 1e-8), np.full((2, 2), 1e-8), 1e-8
     gold_pairs = np.zeros((2, 2))
     inner = np.flatnonzero(~starts)
     np.add.at(gold_pairs, (tags[inner - 1].astype(int), tags[inner].astype(int)), 1)
@@ -197,7 +241,7 @@ def fit(docs: list[list[bytes]], toxic: np.ndarray, least_odds: float = 4.0, lea
         prob, expected = marginals(bias + weights[table].sum(1)[word], starts, pair)
         gap = (tags - prob) / total
         of_word = np.bincount(word, gap, len(table))
-        g = sum(np.bincount(table[:, k], of_word, 1 << BITS) for k in range(WIDTH)) - penalty * weights
+        g = sum(np.bincount(table[:, k], of_word, room) for k in range(WIDTH)) - penalty * weights
         g[-1] = 0
         gp = (gold_pairs - expected) / total - penalty * pair
         gb = gap.sum()
@@ -207,15 +251,46 @@ def fit(docs: list[list[bytes]], toxic: np.ndarray, least_odds: float = 4.0, lea
         weights += rate * g / np.sqrt(seen_w)
         pair += 0.3 * rate * gp / np.sqrt(seen_p)
         bias += 0.3 * rate * gb / np.sqrt(seen_b)
-    model = ToxicModel(weights, pair, bias, None)
-    prob = marginals(bias + weights[table].sum(1)[word], starts, pair)[0]
-    x, head = document_features(prob, sizes), np.zeros(HEAD)
-    share = np.where(toxic, 0.5 / n1, 0.5 / n0)
+    spread = np.zeros(1 << BITS)
+    spread[sample.cells] = weights
+    return ToxicModel(spread, pair, bias, None)
+
+
+def features_of(model: ToxicModel, sample: Sample, chosen: np.ndarray) -> np.ndarray:
+    sizes = sample.sizes[chosen]
+    return document_features(marginals(model.bias + model.weights[sample.table].sum(1)[sample.words(chosen)], first_words(sizes), model.pair)[0], sizes)
+
+
+def fit_score(x: np.ndarray, toxic: np.ndarray) -> tuple[np.ndarray, float]:
+    """Coefficients of the document score, both classes weighing the same, and the loss reached."""
+    share, head = np.where(toxic, 0.5 / toxic.sum(), 0.5 / (~toxic).sum()), np.zeros(HEAD)
     for _ in range(50):  # Newton steps
         p = 1 / (1 + np.exp(-np.clip(x @ head, -30, 30)))
         grad = x.T @ (share * (toxic - p)) - 1e-3 * head
         head = head + np.linalg.solve(x.T @ (x * (share * p * (1 - p))[:, None]) + 1e-3 * np.eye(HEAD), grad)
-    model.head = head
+    z = np.clip(x @ head, -30, 30)
+    return head, float((share * np.log1p(np.exp(np.where(toxic, -z, z)))).sum())
+
+
+def fit(docs: list[list[bytes]], toxic: np.ndarray, levels=LEVELS, rounds: int = 40, penalty: float = 1e-4, rate: float = 0.5) -> ToxicModel:
+    toxic = np.asarray(toxic, bool)
+    if not len(toxic) or toxic.all() or not toxic.any():
+        return ToxicModel(np.zeros(1 << BITS), np.zeros((2, 2)), 0.0, None, float(toxic.mean()) if len(toxic) else 0.0)
+    sample, how = Sample(docs), (rounds, penalty, rate)
+    # Halves of each class in turn, so that both hold both classes where there are two of each.
+    half = np.zeros(len(toxic), bool)
+    for y in (True, False):
+        half[np.flatnonzero(toxic == y)[::2]] = True
+    best = None
+    for level in levels:
+        x = np.zeros((len(toxic), HEAD))
+        for part in (half, ~half):
+            x[~part] = features_of(fit_chain(sample, toxic, part, level, *how), sample, ~part)
+        head, loss = fit_score(x, toxic)
+        if best is None or loss < best[0]:
+            best = loss, level, head
+    model = fit_chain(sample, toxic, np.ones(len(toxic), bool), best[1], *how)
+    model.head = best[2]
     return model
 
 

@@ -344,6 +344,24 @@ def test_toxicity(spark):
     assert toxic_crf.score(d, toxic_crf.train(d, l.limit(0))).agg(F.max("score")).first()[0] == 0
 
 
+def test_toxic_minority_vocabulary():
+    """As many toxic as clean texts; a tenth of the toxic ones have words of their own, which no log odds of 4 would reach."""
+    rng = random.Random(4)
+    plain = [f"{a}{b}".encode() for a in ("lam", "ter", "son", "vid") for b in ("ol", "ur", "ine", "as", "ek")]
+
+    def text(extra):
+        w = [rng.choice(plain) for _ in range(40)]
+        for at in rng.sample(range(40), 3) if extra else ():
+            w[at] = rng.choice(extra)
+        return w
+
+    usual, rare = [b"vile", b"foul"], [b"grotzel"]
+    train = [text(()) for _ in range(200)] + [text(usual) for _ in range(176)] + [text(rare) for _ in range(24)]
+    model = toxic_crf.fit(train, np.arange(400) >= 200)
+    held = [text(()) for _ in range(50)] + [text(usual) for _ in range(50)] + [text(rare) for _ in range(50)]
+    assert ((model.score(*model.tag(held, model.odds())) >= 0.7) == (np.arange(150) >= 50)).all()
+
+
 def test_quality(spark):
     rng = random.Random(2)
     rows, labels = [], []
