@@ -61,9 +61,32 @@ def w3_page_layers(spark, sf_dir):
     return x.groupBy(layer.alias("layer")).agg(F.count(F.lit(1)).alias("n"), F.count_if(F.coalesce("a", "b") == F.col("truth")).alias("right_"))
 
 
-both("w11_leakage", "SELECT DISTINCT doc_id FROM documents d JOIN benchmark b ON contains(d.text, b.text)")(
-    lambda t: t("documents").join(F.broadcast(t("benchmark").limit(100_000).select(F.col("text").alias("passage"))), F.col("text").contains(F.col("passage")), "left_semi").select("doc_id")
-)
+#: Words of a passage that a document must hold in a row before the passage itself is looked for.
+_ANCHOR = 4
+
+
+def leaks(docs, passages):
+    """Ids of documents that contain a passage, whatever the number of passages.
+
+    The words of a passage but its first and last are whole words, between single spaces, of any text that contains it. The hash of the first few of them is
+    joined with the hashes of a document's word grams, and found pairs are confirmed on the texts. Passages too short for that are compared with every document.
+    """
+    gram = lambda words, i: F.xxhash64(F.array_join(F.slice(words, i, _ANCHOR), " "))
+    parts = F.split("passage", " ")
+    passages = passages.where("passage is not null").distinct().withColumn("_n", F.size(parts))
+    long = passages.where(F.col("_n") >= _ANCHOR + 2).select("passage", gram(parts, F.lit(2)).alias("_g"))
+    short = passages.where(F.col("_n") < _ANCHOR + 2).select("passage")
+    docs = docs.select("doc_id", "text").where("text is not null")
+    # The one-element array splits a text once, not once for each gram.
+    every = F.transform(F.array(F.split("text", " ")), lambda w: F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - _ANCHOR + 1, F.lit(1))), lambda i: gram(w, i)))
+    grams = docs.select("doc_id", F.explode(F.array_distinct(F.flatten(every))).alias("_g"))
+    pairs = grams.join(long, "_g").select(F.col("doc_id").alias("_id"), "passage").distinct()
+    holds = F.col("text").contains(F.col("passage"))
+    found = docs.join(pairs, F.col("doc_id").eqNullSafe(F.col("_id")) & holds).select("doc_id")
+    return found.unionByName(docs.join(short, holds).select("doc_id")).distinct()
+
+
+both("w11_leakage", "SELECT DISTINCT doc_id FROM documents d JOIN benchmark b ON contains(d.text, b.text)")(lambda t: leaks(t("documents"), t("benchmark").select(F.col("text").alias("passage"))))
 _GUESS = "CASE WHEN text LIKE '%ción%' THEN 'es' WHEN text LIKE '%lich%' THEN 'de' WHEN text LIKE '%eau%' THEN 'fr' ELSE 'en' END"
 _NOISE = f"CASE WHEN {stream('doc_id', 61)} % 100 < noise THEN (['de', 'en', 'es', 'fr'])[{stream('doc_id', 62)} % 4 + 1] ELSE lang END"
 

@@ -82,3 +82,16 @@ def test_plans(spark, small):
 def test_entry(spark):
     assert entry.entry(spark).count() > 0
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+def test_leakage_beyond_100_000_passages(spark, tmp_path):
+    """Every passage is searched: long, short, cut inside words, with double spaces and empty documents around; ids repeat and may be null."""
+    n = 100_300
+    passages = spark.range(0, n, 1, 4).select(F.col("id").alias("item_id"), F.concat(F.lit("alpha beta gamma delta epsilon zeta n"), "id", F.lit("x tail")).alias("text"))
+    extra = spark.createDataFrame([(n, "short one"), (n + 1, None), (n + 2, "ut  of a  few odd spaces he")], "item_id long, text string")
+    passages.unionByName(extra).write.parquet(f"{tmp_path}/benchmark.parquet")
+    rows = [(i, f"before malpha beta gamma delta epsilon zeta n{at}x tailing after") for i, at in ((1, 0), (2, 50_000), (3, n - 1), (4, n))]
+    rows += [(5, "a short one"), (6, "shor tone"), (7, "but  of a  few odd spaces here"), (8, ""), (9, None), (10, "x"), (10, "the short ones"), (None, "short one")]
+    spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = [r[0] for r in registry()["w11_leakage"].run(spark, str(tmp_path)).collect()]
+    assert sorted(got, key=str) == sorted([1, 2, 3, 5, 7, 10, None], key=str)
