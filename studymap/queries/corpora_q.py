@@ -113,7 +113,7 @@ def w13_learning_curve(spark, sf_dir):
     out = None
     for cap in (25, 50, 100):
         x = _documents(spark, sf_dir, 3, cap)
-        model = network.fit_head(x.where("fold <> 0"), iterations=10)
+        model = network.fit_head(x.where("trains AND fold <> 0"), iterations=10)
         p = network.predict(model, x.where("fold = 0")).agg(F.lit(cap).alias("cap"), F.avg((F.col("class_id") == F.col("predicted")).cast("int")).alias("accuracy"))
         out = p if out is None else out.unionByName(p)
     return out

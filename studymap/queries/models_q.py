@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.ml.feature import HashingTF
 from pyspark.ml.functions import vector_to_array
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions import images
@@ -183,27 +184,31 @@ query("m_mil_pool", "SELECT user_id AS study_id, round(avg(value), 6) AS mean_va
 
 def char_grams(docs, n: int, size: int = 512):
     """Frozen features: shares of hashed character n-grams of the whole text."""
-    grams = F.transform(F.sequence(F.lit(1), F.greatest(F.length("text") - n + 1, F.lit(1))), lambda i: F.substring(F.col("text"), i, F.lit(n)))
+    # The one-element array splits a text into characters once; positions in an array take no walk through the text.
+    grams = F.flatten(F.transform(F.array(F.split("text", "")), lambda c: F.transform(F.sequence(F.lit(1), F.greatest(F.size(c) - n + 1, F.lit(1))), lambda i: F.array_join(F.slice(c, i, n), ""))))
     x = HashingTF(numFeatures=size, inputCol="g", outputCol="tf").transform(docs.withColumn("g", grams)).withColumn("tf", vector_to_array("tf"))
     total = F.aggregate("tf", F.lit(0.0), lambda a, v: a + v)
     return x.withColumn("x", F.transform("tf", lambda v: F.sqrt(v / total))).drop("g", "tf", "text")
 
 
 def cross_validate(features, folds: int = 5):
-    """(doc_id, fold, class_id, predicted): fold f is predicted by a head trained on the others."""
+    """(doc_id, fold, class_id, predicted): every document of fold f is predicted by a head trained on the training documents of the others."""
     out = None
+    training = features.where("trains").persist()
     for f in range(folds):
-        model = network.fit_head(features.where(F.col("fold") != f), iterations=15)
+        model = network.fit_head(training.where(F.col("fold") != f), iterations=15)
         p = network.predict(model, features.where(F.col("fold") == f)).select("doc_id", "fold", "modality", "class_id", "predicted")
         out = p if out is None else out.unionByName(p)
     return out
 
 
-def _documents(spark, sf_dir, n, cap=200):
-    docs = sampling.cap_per_class(table(spark, sf_dir, "documents").where("text is not null").select("doc_id", "text", "lang", "source"), "lang", "doc_id", cap)
-    docs = sampling.folds(docs, "lang", "doc_id").withColumn("class_id", (F.array_position(F.array(*map(F.lit, ("de", "en", "es", "fr"))), F.col("lang")) - 1).cast("int"))
+def _documents(spark, sf_dir, n, cap=200, by=("lang",)):
+    """Features of every document, its fold, and whether it trains: the other four folds hold at most `cap` training documents of a class (by `by`); the cap never cuts what is evaluated."""
+    docs = table(spark, sf_dir, "documents").where("text is not null").select("doc_id", "text", "lang", "source")
     docs = docs.withColumn("modality", F.concat(F.lit("m"), F.regexp_extract("source", r"(\d+)", 1).cast("int") % 5)).drop("source")
-    return char_grams(docs, n).persist()
+    docs = sampling.folds(docs, "lang", "doc_id").withColumn("class_id", (F.array_position(F.array(*map(F.lit, ("de", "en", "es", "fr"))), F.col("lang")) - 1).cast("int"))
+    order = W.partitionBy("fold", *by).orderBy(F.expr(stream("doc_id", 1)), "doc_id")
+    return char_grams(docs.withColumn("trains", F.row_number().over(order) <= cap // 4), n)
 
 
 @query("m_cv")
@@ -218,7 +223,7 @@ def b_two_nets(spark, sf_dir):
     """Two feature sets by pseudo-modality, five folds each; the better one is kept."""
     out = None
     for n in (3, 5):
-        p = cross_validate(_documents(spark, sf_dir, n, 60)).withColumn("network", F.lit(f"{n}-grams"))
+        p = cross_validate(_documents(spark, sf_dir, n)).withColumn("network", F.lit(f"{n}-grams"))
         out = p if out is None else out.unionByName(p)
     acc = out.groupBy("modality", "network", "fold").agg(F.avg((F.col("class_id") == F.col("predicted")).cast("int")).alias("acc"))
     table_ = evaluate.t_interval(acc, ["modality", "network"])
@@ -228,10 +233,10 @@ def b_two_nets(spark, sf_dir):
 
 @query("m_head_fit")
 def m_head_fit(spark, sf_dir):
-    """One head per pseudo-modality; training accuracy of each."""
-    x = _documents(spark, sf_dir, 3, 60)
+    """One head per pseudo-modality, trained on at most 200 documents per class of four folds; accuracy of each over every document of the fifth."""
+    x = _documents(spark, sf_dir, 3, by=("lang", "modality"))
     out = None
-    for name, model in network.fit_heads(x, iterations=8).items():
-        p = network.predict(model, x.where(F.col("modality") == name)).agg(F.lit(name).alias("modality"), F.avg((F.col("class_id") == F.col("predicted")).cast("int")).alias("accuracy"))
+    for name, model in network.fit_heads(x.where("trains AND fold <> 0").persist(), iterations=8).items():
+        p = network.predict(model, x.where((F.col("modality") == name) & (F.col("fold") == 0))).agg(F.lit(name).alias("modality"), F.avg((F.col("class_id") == F.col("predicted")).cast("int")).alias("accuracy"))
         out = p if out is None else out.unionByName(p)
     return out

@@ -95,3 +95,16 @@ def test_leakage_beyond_100_000_passages(spark, tmp_path):
     spark.createDataFrame(rows, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
     got = [r[0] for r in registry()["w11_leakage"].run(spark, str(tmp_path)).collect()]
     assert sorted(got, key=str) == sorted([1, 2, 3, 5, 7, 10, None], key=str)
+
+
+def test_training_cap_does_not_cut_what_is_evaluated(spark, tmp_path):
+    from studymap.queries import models_q
+
+    rows = [(i, f"text {i} of {lang}", lang, f"src{i % 3}") for i in range(900) for lang in ["en" if i % 3 else "de"]]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string, source string").write.parquet(f"{tmp_path}/documents.parquet")
+    x = models_q._documents(spark, str(tmp_path), 3).select("doc_id", "lang", "fold", "trains").collect()
+    assert len(x) == 900
+    for f in range(5):
+        for lang, n in (("en", 600), ("de", 300)):
+            assert sum(r["trains"] and r["fold"] != f and r["lang"] == lang for r in x) == 200
+            assert sum(r["fold"] == f and r["lang"] == lang for r in x) == n // 5
