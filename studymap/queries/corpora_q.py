@@ -93,7 +93,7 @@ _NOISE = f"CASE WHEN {stream('doc_id', 61)} % 100 < noise THEN (['de', 'en', 'es
 
 @query("w12_label_noise", f"SELECT noise, round(avg((({_GUESS}) = ({_NOISE}))::INT), 6) AS accuracy FROM documents, unnest([0, 5, 10, 20]) AS u(noise) GROUP BY noise")
 def w12_label_noise(spark, sf_dir):
-    """Accuracy against labels of which a share was moved: what automatic labels cost."""
+    """Agreement of a fixed rule with labels of which a share was moved; no model is trained."""
     x = table(spark, sf_dir, "documents").withColumn("noise", F.explode(F.array(*map(F.lit, (0, 5, 10, 20))))).withColumn("guess", F.expr(_GUESS))
     moved = F.element_at(F.array(*map(F.lit, texts.LANGS)), F.expr(f"cast({stream('doc_id', 62)} % 4 + 1 as int)"))
     label = F.when(F.expr(f"{stream('doc_id', 61)} % 100") < F.col("noise"), moved).otherwise(F.col("lang"))
