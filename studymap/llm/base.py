@@ -1,4 +1,4 @@
-"""What the training-data operators share: checkpoints, word splitting and hashing."""
+"""What the training-data operators share: checkpoints, salted joins, word splitting, hashing and bounded samples."""
 
 from __future__ import annotations
 
@@ -15,12 +15,14 @@ MASK = (1 << 64) - 1
 
 
 def work_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share, from spark.checkpoint.dir; one is set only where the session has none."""
+    """The folder that driver and executors share, from spark.checkpoint.dir. Only a session on one machine may lack it: then one is set."""
     context = spark.sparkContext
     named = context.getConf().get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
     if context._jsc.sc().getCheckpointDir().isEmpty():
+        if not context.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
         context.setCheckpointDir(tempfile.mkdtemp(prefix="studymap-checkpoint-"))
     return context._jsc.sc().getCheckpointDir().get().rstrip("/")
 
@@ -31,6 +33,27 @@ def checkpointed(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+#: Parts that the rows of one key may be dealt to; a bit mask of 64 bits tells which parts a key's rows use.
+SALTS = 64
+
+
+def salt(*columns) -> Column:
+    return F.pmod(F.xxhash64(*columns), F.lit(SALTS)).cast("int")
+
+
+def salts_seen() -> Column:
+    """Aggregate beside others over rows with `_salt`: the parts that a key's rows use, as `_salts`."""
+    return F.expr("bit_or(shiftleft(1L, _salt))").alias("_salts")
+
+
+def spread(keys: DataFrame) -> DataFrame:
+    """Rows with `_salts` once for each part in use, as `_salt`: the small side of a join on key and `_salt`, never longer than the other side.
+
+    A key with a third of all rows is so dealt to up to 64 tasks, beyond which adaptive execution can split the long side.
+    """
+    return keys.withColumn("_salt", F.expr(f"explode(filter(sequence(0, {SALTS - 1}), i -> (shiftright(_salts, i) & 1) = 1))")).drop("_salts")
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -97,3 +120,18 @@ def ragged(starts: np.ndarray, counts: np.ndarray) -> np.ndarray:
     total = int(counts.sum())
     ends = np.cumsum(counts)
     return np.arange(total) + np.repeat(starts - (ends - counts), counts)
+
+
+def bounded_sample(docs: DataFrame, labels: DataFrame, label: str, sample: int, trains, longest: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """At most `sample` labelled documents (half of each class) of at most `longest` bytes for which `trains` holds, by a hash of the identifier.
+
+    An identifier with several rows of labels counts once; one whose rows say both classes doesn't train. Of an identifier's several texts the least one is taken.
+    """
+    known = labels.where(F.col(label).isNotNull() & F.col(id_col).isNotNull() & trains).groupBy(id_col).agg(F.min(F.col(label).cast("int")).alias("_y"), F.max(F.col(label).cast("int")).alias("_z"))
+    known = known.where("_y = _z").select(id_col, "_y", F.xxhash64(F.lit(3), id_col).alias("_h"))
+    # Each side is a top-k report of fixed size.
+    chosen = known.where("_y = 1").orderBy("_h", id_col).limit(sample // 2).unionByName(known.where("_y = 0").orderBy("_h", id_col).limit(sample - sample // 2))
+    short = docs.where(F.octet_length(F.coalesce(F.col(text_col), F.lit(""))) <= longest).select(id_col, F.col(text_col).alias("_text"))
+    rows = short.join(F.broadcast(chosen.select(id_col, "_y")), id_col)
+    # One text for each identifier: rows that repeat it don't make the sample grow.
+    return rows.groupBy(id_col).agg(F.min("_text").alias("_text"), F.min("_y").alias("_y")).select("_text", "_y", F.xxhash64(id_col).alias("_h"))

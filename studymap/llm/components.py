@@ -1,34 +1,37 @@
-"""Connected components of a table of links by alternating star contraction, without a driver-side graph."""
+"""Connected components of a table of links by alternating star contraction, without a driver-side graph.
+
+Rounds go on until the links no longer change; their number grows with the logarithm of the longest path. A hub of many links is dealt to several tasks.
+Links with a null end and links of a node to itself don't count, repeated links count once, and an empty table gives an empty result.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import checkpointed
+from .base import checkpointed, salt, salts_seen, spread
 
 
 def _large_star(links: DataFrame) -> DataFrame:
-    both = links.select("a", "b").unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    least = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m"))
-    return both.where("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
+    both = links.select("a", "b").unionByName(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).withColumn("_salt", salt("b"))
+    least = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m"), salts_seen())
+    return both.where("b > a").join(spread(least), ["a", "_salt"]).select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
 
 
 def _small_star(links: DataFrame) -> DataFrame:
-    down = links.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b"))
-    least = down.groupBy("a").agg(F.min("b").alias("m"))
-    moved = down.join(least, "a")
+    down = links.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).withColumn("_salt", salt("b"))
+    least = down.groupBy("a").agg(F.min("b").alias("m"), salts_seen())
+    moved = down.join(spread(least), ["a", "_salt"])
     return moved.select(F.col("b").alias("a"), F.col("m").alias("b")).unionByName(least.select("a", F.col("m").alias("b"))).where("a <> b").distinct()
 
 
-def components(links: DataFrame, most_rounds: int = 40) -> DataFrame:
+def components(links: DataFrame) -> DataFrame:
     """Links (a, b) -> (node, component), component being the least node reachable; only nodes that have a link to another node appear."""
     edges = checkpointed(links.select("a", "b").where("a <> b").distinct())
     before = None
-    for _ in range(most_rounds):
+    while True:
         edges = checkpointed(_small_star(_large_star(edges)))
         x = edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("a", "b") % 1_000_000_007)).first()
         if tuple(x) == before:
             return edges.select(F.col("a").alias("node"), F.col("b").alias("component")).unionByName(edges.select(F.col("b").alias("node"), F.col("b").alias("component")).distinct())
         before = tuple(x)
-    raise RuntimeError(f"components have not settled after {most_rounds} rounds")

@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .toxic_crf import bounded_sample
+from .base import bounded_sample
 
 BITS = 13
 #: Kinds of terms, so that a word and a shape never share a cell by spelling; the first half of the cells holds words, the rest what describes form.

@@ -2,18 +2,22 @@
 
 1. Each text becomes the set of its distinct `shingle`-word sequences, as 64-bit hashes. For each of `permutations` hash functions both the least and the greatest value over
    the set are kept: two signature values for one evaluation, each equal between two sets with probability their Jaccard similarity, with the lower variance that the
-   negative dependence of minimum and maximum brings. Values are banded by `rows`; documents sharing a band are candidates. At similarity
+   negative dependence of minimum and maximum brings. Values are banded by `rows`; texts sharing a band are candidates. At similarity
    0.75 and 4 rows, 40 bands miss a pair with probability (1 - 0.75^4)^40 = 2.5e-7.
-2. Texts with equal sets are one class from the start (a 128-bit fingerprint of the set, with its size): one representative goes on, so copies never meet in pairs.
-3. Each band's bucket compares its members with the bucket's least representative only; those pairs are confirmed by the exact intersection of the sets. Confirmed links form
-   components by star contraction.
-4. Buckets whose members still lie in several components get every remaining pair of different components tested, inside blocks of bounded size that
-   hold their sets; only links that join components leave a block. So no pair that shares a band goes untested unless it is already connected.
+2. Texts with equal sets are one class from the start (a 128-bit fingerprint of the set, with its size), whatever identifiers they stand under. Classes, not identifiers, have
+   signatures, sets and links, so copies never meet in pairs and two texts under one identifier keep their own links.
+3. Each band's bucket compares its members with the bucket's least class only, where the two sizes allow the similarity; those pairs are confirmed by the exact intersection of
+   the sets. Confirmed links, and links between the classes of one identifier, form components by star contraction.
+4. Buckets whose members still lie in several components get every remaining pair of different components tested, inside blocks of bounded size that hold their
+   sets; members of the bucket's largest component are not paired with each other. So no pair that shares a band goes untested unless it is already connected.
+
+A bucket, class or hub that holds a large share of all rows is dealt to up to 64 tasks by a salt (base.spread).
 
 The similarity test is in integers: 100 * intersection >= 75 * union. A text with fewer words than a shingle is one shingle; a text without words, or null, has none and is linked
-with nothing. Words are runs of anything but ASCII white space, lower-cased over A-Z. Rows with a null identifier have no component and are kept. Repeated rows of one
-identifier are in one component, and all of them are kept if that identifier is. An empty table gives an empty result. Sets are hashed to 64 bits: that two
-different shingles of two compared documents fall together has probability below 1e-10 for texts of 20,000 words.
+with nothing. Words are runs of anything but ASCII white space, lower-cased over A-Z. Rows with a null identifier have no component and are kept. Rows that repeat an
+identifier are one document: all are in one component, linked with whatever any of their texts is linked with, and all are kept if the identifier is. An
+empty table gives an empty result. Sets are hashed to 64 bits: that two different shingles of two compared documents fall together has probability below 1e-10 for texts of
+20,000 words.
 """
 
 from __future__ import annotations
@@ -24,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import WordHashes, checkpointed, lower_words_of, mixed, rolling
+from .base import WordHashes, checkpointed, lower_words_of, mixed, rolling, salt, salts_seen, spread
 from .components import components
 
 
@@ -36,6 +40,11 @@ def shingle_set(text: str | None, cache: WordHashes, shingle: int) -> np.ndarray
     return np.unique(rolling(cache.of(words), min(shingle, len(words))))
 
 
+def fingerprints(sets: list[np.ndarray]) -> np.ndarray:
+    """(sets, 2) 128-bit fingerprints."""
+    return np.array([np.frombuffer(xxhash.xxh128_digest(s.tobytes()), np.int64) for s in sets], np.int64).reshape(-1, 2)
+
+
 def _signatures(sets: list[np.ndarray], a: np.ndarray, rows: int) -> np.ndarray:
     """(documents, bands) band hashes of non-empty sets: minima and maxima under multiplicative permutations."""
     sizes = np.fromiter(map(len, sets), np.int64, len(sets))
@@ -71,7 +80,7 @@ def signatures(docs: DataFrame, shingle: int, permutations: int, rows: int, seed
             band = np.zeros((len(sets), bands), np.uint64)
             if full:
                 band[full] = _signatures([sets[i] for i in full], a, rows)
-            prints = np.array([np.frombuffer(xxhash.xxh128_digest(s.tobytes()), np.int64) for s in sets], np.int64).reshape(-1, 2)
+            prints = fingerprints(sets)
             n = np.fromiter(map(len, sets), np.int64, len(sets))
             offsets = np.concatenate([[0], np.cumsum(np.where(n > 0, bands, 0))])
             values = band[n > 0].reshape(-1).view(np.int64)
@@ -96,20 +105,30 @@ def signatures(docs: DataFrame, shingle: int, permutations: int, rows: int, seed
     return plain.mapInArrow(run, "_id long, _n long, _f1 long, _f2 long, _bands array<long>")
 
 
-def full_sets(docs: DataFrame, shingle: int) -> DataFrame:
-    """(_id, _t) -> (_id, _set array<long>)."""
+SET = ["_n", "_f1", "_f2"]
+
+
+def full_sets(texts: DataFrame, shingle: int) -> DataFrame:
+    """(_c, _n, _f1, _f2, _t): classes with a text that may be theirs -> (_c, _set array<long>), once in a task for each class that a text belongs to."""
 
     def run(batches):
-        cache = WordHashes()
+        cache, seen = WordHashes(), set()
         for batch in batches:
             for at in range(0, batch.num_rows, 256):
                 part = batch.slice(at, 256)
-                sets = [shingle_set(t.as_py(), cache, shingle) for t in part.column(1)]
-                offsets = np.concatenate([[0], np.cumsum([len(s) for s in sets])])
-                values = pa.array((np.concatenate(sets) if sets else np.empty(0, np.uint64)).view(np.int64))
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), values)], names=["_id", "_set"])
+                owner, n, f1, f2 = (part.column(c).to_pylist() for c in ("_c", *SET))
+                sets = [shingle_set(t.as_py(), cache, shingle) for t in part.column("_t")]
+                mine = []
+                for i, (s, (a, b)) in enumerate(zip(sets, fingerprints(sets).tolist())):
+                    if owner[i] not in seen and (len(s), a, b) == (n[i], f1[i], f2[i]):
+                        seen.add(owner[i])
+                        mine.append(i)
+                if mine:
+                    offsets = np.concatenate([[0], np.cumsum([len(sets[i]) for i in mine])])
+                    values = pa.array(np.concatenate([sets[i] for i in mine]).view(np.int64))
+                    yield pa.RecordBatch.from_arrays([pa.array([owner[i] for i in mine], pa.int64()), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), values)], names=["_c", "_set"])
 
-    return docs.mapInArrow(run, "_id long, _set array<long>")
+    return texts.select("_c", *SET, "_t").mapInArrow(run, "_c long, _set array<long>")
 
 
 def _alike(n1, n2, both, percent: int):
@@ -117,21 +136,35 @@ def _alike(n1, n2, both, percent: int):
 
 
 def _confirm(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """Pairs (a, b) whose sets are alike enough. b is a bucket's least member and may recur often: its side is the one that adaptive execution splits."""
-    with_a = pairs.join(sets.select(F.col("_id").alias("a"), F.col("_set").alias("_sa")), "a")
-    with_b = with_a.join(sets.select(F.col("_id").alias("b"), F.col("_set").alias("_sb")), "b")
-    return with_b.where(_alike(F.size("_sa"), F.size("_sb"), F.size(F.array_intersect("_sa", "_sb")), percent)).select("a", "b")
+    """Pairs (a, b) of classes whose sets are alike enough. b is a bucket's least class and may recur often: its set is sent once to each part of its pairs."""
+    pairs = pairs.withColumn("_salt", salt("a"))
+    hubs = pairs.groupBy("b").agg(salts_seen()).join(sets.select(F.col("_c").alias("b"), F.col("_set").alias("_sb")), "b")
+    both = pairs.join(sets.select(F.col("_c").alias("a"), F.col("_set").alias("_sa")), "a").join(spread(hubs), ["b", "_salt"])
+    return both.where(_alike(F.size("_sa"), F.size("_sb"), F.size(F.array_intersect("_sa", "_sb")), percent)).select("a", "b")
+
+
+def _open_members(placed: DataFrame, block: int) -> DataFrame:
+    """(_key, _c, _component, _salt) -> (_key, _i, _j, _c, _component): members of buckets that hold several components, once for each pair of blocks they are tested in.
 
+    Blocks 0 to _others - 1 hold what isn't in the bucket's largest component, the blocks behind them that component, whose own pairs need no test.
+    """
+    parts = placed.groupBy("_key", "_component").agg(F.count(F.lit(1)).alias("_k"), salts_seen())
+    open_ = parts.groupBy("_key").agg(F.max_by("_component", "_k").alias("_main"), F.max("_k").alias("_in"), F.sum("_k").alias("_m"), F.count(F.lit(1)).alias("_of"), F.bit_or("_salts").alias("_salts"))
+    blocks = lambda n: F.ceil(n / block).cast("int")
+    open_ = open_.where("_of > 1").select("_key", "_main", blocks(F.col("_in")).alias("_mains"), blocks(F.col("_m") - F.col("_in")).alias("_others"), "_salts")
+    x = placed.join(spread(open_), ["_key", "_salt"])
+    main, h = F.col("_component") == F.col("_main"), F.xxhash64("_c")
+    own = F.when(main, F.col("_others") + F.pmod(h, F.col("_mains"))).otherwise(F.pmod(h, F.col("_others"))).cast("int")
+    last = F.when(main, F.col("_others")).otherwise(F.col("_others") + F.col("_mains")) - 1
+    x = x.withColumn("_own", own).withColumn("_other", F.explode(F.sequence(F.lit(0), last)))
+    return x.select("_key", F.least("_own", "_other").alias("_i"), F.greatest("_own", "_other").alias("_j"), "_c", "_component")
 
-def _open_links(members: DataFrame, percent: int, block: int) -> DataFrame:
-    """Rows (_key, _parts, _id, _component, _set) of open buckets -> links (a, b) between different components of a bucket."""
-    own = F.pmod(F.xxhash64("_id"), F.col("_parts")).cast("int")
-    other = F.explode(F.sequence(F.lit(0), F.col("_parts") - 1))
-    x = members.withColumn("_own", own).withColumn("_other", other)
-    x = x.withColumns({"_i": F.least("_own", "_other"), "_j": F.greatest("_own", "_other")})
+
+def _open_links(members: DataFrame, percent: int) -> DataFrame:
+    """Rows (_key, _i, _j, _c, _component, _set) -> links (a, b) between different components of a pair of blocks."""
 
     def test(table: pa.Table) -> pa.Table:
-        ids = table.column("_id").to_numpy()
+        ids = table.column("_c").to_numpy()
         group = table.column("_component").to_numpy()
         lists = table.column("_set").combine_chunks()
         sizes = np.diff(lists.offsets.to_numpy())
@@ -154,41 +187,49 @@ def _open_links(members: DataFrame, percent: int, block: int) -> DataFrame:
             hits = np.concatenate([posting[starts[m] : starts[m + 1]] for m in mine]) if len(mine) else np.empty(0, int)
             both = np.bincount(hits, minlength=len(ids))
             for j in np.flatnonzero(_alike(sizes[i], sizes, both, percent)):
-                if j > i and ids[i] != ids[j] and find(group[i]) != find(group[j]):
+                if j > i and find(group[i]) != find(group[j]):
                     root[find(group[i])] = find(group[j])
                     a.append(ids[i])
                     b.append(ids[j])
         return pa.table({"a": pa.array(a, pa.int64()), "b": pa.array(b, pa.int64())})
 
-    return x.select("_key", "_i", "_j", "_id", "_component", "_set").groupBy("_key", "_i", "_j").applyInArrow(test, "a long, b long")
+    return members.groupBy("_key", "_i", "_j").applyInArrow(test, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, percent: int = 75, permutations: int = 80, rows: int = 4, seed: int = 17, block: int = 512) -> DataFrame:
     """One row per input row: id, n_shingles, component_id, kept (id = component_id)."""
-    sig = checkpointed(signatures(docs, shingle, permutations, rows, seed, id_col, text_col))
-    classes = sig.where("_n > 0").groupBy("_n", "_f1", "_f2").agg(F.min("_id").alias("_rep"))
-    classes = checkpointed(classes)
-    shown = classes.join(sig.where("_n > 0").select(F.col("_id").alias("_rep"), "_bands").dropDuplicates(["_rep"]), "_rep")
-    banded = shown.select("_rep", F.explode("_bands").alias("_key"))
-    buckets = banded.groupBy("_key").agg(F.min("_rep").alias("_least"), F.count(F.lit(1)).alias("_m")).where("_m > 1")
-    inside = checkpointed(banded.join(buckets, "_key").select("_key", "_least", "_m", "_rep"))
-    pairs = inside.where("_rep <> _least").select(F.col("_rep").alias("a"), F.col("_least").alias("b")).distinct()
-    wanted = inside.select(F.col("_rep").alias("_id")).distinct()
-    plain = docs.select(F.col(id_col).cast("long").alias("_id"), F.col(text_col).alias("_t")).join(wanted, "_id")
-    sets = checkpointed(full_sets(plain, shingle).dropDuplicates(["_id"]))
-    links = checkpointed(_confirm(pairs, sets, percent))
-    found = components(links)
-
-    placed = inside.where("_m > 2").join(found.withColumnRenamed("node", "_rep"), "_rep", "left").withColumn("_component", F.coalesce("component", "_rep")).drop("component")
-    placed = checkpointed(placed)
-    open_ = placed.groupBy("_key").agg(F.min("_component").alias("_lo"), F.max("_component").alias("_hi")).where("_lo < _hi").select("_key")
-    members = placed.join(open_, "_key").withColumn("_parts", F.ceil(F.col("_m") / block).cast("int"))
-    members = members.select("_key", "_parts", F.col("_rep").alias("_id"), "_component").join(sets, "_id")
-    more = checkpointed(_open_links(members, percent, block).distinct())
+    sig = checkpointed(signatures(docs, shingle, permutations, rows, seed, id_col, text_col).withColumn("_salt", salt("_id")))
+    full = sig.where("_n > 0")
+    classes = full.groupBy(*SET).agg(F.min("_id").alias("_rep"), F.first("_bands").alias("_bands"), salts_seen())
+    classes = checkpointed(classes.withColumn("_c", F.monotonically_increasing_id()))  # the numbers are fixed by the written table
+    named = checkpointed(full.select("_id", "_salt", *SET).join(spread(classes.select(*SET, "_c", "_salts")), [*SET, "_salt"]).select("_id", "_n", "_c", "_salt"))
+
+    banded = classes.select("_c", "_n", F.explode("_bands").alias("_key")).withColumn("_salt", salt("_c"))
+    buckets = banded.groupBy("_key").agg(F.min("_c").alias("_least"), F.min_by("_n", "_c").alias("_least_n"), F.count(F.lit(1)).alias("_m"), salts_seen()).where("_m > 1")
+    inside = checkpointed(banded.join(spread(buckets), ["_key", "_salt"]).select("_key", "_least", "_least_n", "_m", "_c", "_n", "_salt"))
+    sized = 100 * F.least("_n", "_least_n") >= percent * F.greatest("_n", "_least_n")
+    pairs = inside.where((F.col("_c") != F.col("_least")) & sized).select(F.col("_c").alias("a"), F.col("_least").alias("b")).distinct()
+    need = classes.join(inside.select("_c").distinct(), "_c", "left_semi").select("_c", F.col("_rep").alias("_id"), *SET)
+    texts = docs.select(F.col(id_col).cast("long").alias("_id"), F.col(text_col).alias("_t")).join(need, "_id")
+    sets = checkpointed(full_sets(texts, shingle))
+    # Classes of one identifier are one document.
+    tied = named.groupBy("_id").agg(F.min("_c").alias("_lo"), F.max("_c").alias("_hi")).where("_lo < _hi")
+    ties = named.join(tied, "_id").where("_c <> _lo").select(F.col("_c").alias("a"), F.col("_lo").alias("b")).distinct()
+    found = components(_confirm(pairs, sets, percent).unionByName(ties))
+
+    placed = inside.where("_m > 2").select("_key", "_c", "_salt").join(found.withColumnRenamed("node", "_c"), "_c", "left")
+    placed = checkpointed(placed.select("_key", "_c", "_salt", F.coalesce("component", "_c").alias("_component")))
+    more = checkpointed(_open_links(_open_members(placed, block).join(sets, "_c"), percent).distinct())
     if not more.isEmpty():
         found = components(found.select(F.col("node").alias("a"), F.col("component").alias("b")).unionByName(more))
-    final = classes.join(found.withColumnRenamed("node", "_rep"), "_rep", "left").select("_n", "_f1", "_f2", F.coalesce("component", "_rep").alias("_component"))
-    out = sig.select("_id", "_n", "_f1", "_f2").join(final, ["_n", "_f1", "_f2"], "left").withColumn("_component", F.coalesce("_component", "_id"))
+
+    grouped = classes.select("_c", "_rep", "_salts").join(found.withColumnRenamed("node", "_c"), "_c", "left").select("_c", "_rep", "_salts", F.coalesce("component", "_c").alias("_g"))
+    least = grouped.select("_g", "_rep", salt("_c").alias("_salt")).groupBy("_g").agg(F.min("_rep").alias("_component"), salts_seen())
+    decided = grouped.withColumn("_salt", salt("_c")).join(spread(least), ["_g", "_salt"]).select("_c", "_component", "_salts")
+    out = named.join(spread(decided), ["_c", "_salt"]).select("_id", "_n", "_component")
+    lone = sig.where("_n = 0").select("_id", "_n")
+    beside = out.join(lone.select("_id").distinct(), "_id", "left_semi").groupBy("_id").agg(F.min("_component").alias("_component"))
+    out = out.unionByName(lone.join(beside, "_id", "left").select("_id", "_n", F.coalesce("_component", "_id").alias("_component")))
     out = out.select(F.col("_id").alias(id_col), F.col("_n").alias("n_shingles"), F.col("_component").alias("component_id"), (F.col("_id") == F.col("_component")).alias("kept"))
     nameless = docs.where(F.col(id_col).isNull()).select(F.lit(None).cast("long").alias(id_col), F.lit(None).cast("long").alias("n_shingles"), F.lit(None).cast("long").alias("component_id"), F.lit(True).alias("kept"))
     return out.unionByName(nameless)

@@ -23,6 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .base import bounded_sample
 
 BITS = 18
 #: Lengths, in characters, of the prefixes that stand beside the word itself as features and as lexicon units.
@@ -294,17 +295,6 @@ def fit(docs: list[list[bytes]], toxic: np.ndarray, levels=LEVELS, rounds: int =
     return model
 
 
-def bounded_sample(docs: DataFrame, labels: DataFrame, label: str, sample: int, trains, longest: int, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """At most `sample` labelled documents (half of each class) of at most `longest` bytes for which `trains` holds, by a hash of the identifier."""
-    known = labels.where(F.col(label).isNotNull() & trains).select(id_col, F.col(label).cast("int").alias("_y"), F.xxhash64(F.lit(3), id_col).alias("_h"))
-    # Each side is a top-k report of fixed size.
-    chosen = known.where("_y = 1").orderBy("_h", id_col).limit(sample // 2).unionByName(known.where("_y = 0").orderBy("_h", id_col).limit(sample - sample // 2))
-    short = docs.where(F.octet_length(F.coalesce(F.col(text_col), F.lit(""))) <= longest).select(id_col, F.col(text_col).alias("_text"))
-    rows = short.join(F.broadcast(chosen.select(id_col, "_y").dropDuplicates([id_col])), id_col)
-    # One text for each identifier: rows that repeat it don't make the sample grow.
-    return rows.groupBy(id_col).agg(F.min("_text").alias("_text"), F.min("_y").alias("_y")).select("_text", "_y", F.xxhash64(id_col).alias("_h"))
-
-
 def train(docs: DataFrame, labels: DataFrame, label: str = "toxic", sample: int = 2400, longest: int = 40_000, trains=None, id_col: str = "doc_id", text_col: str = "text") -> ToxicModel:
     trains = F.lit(True) if trains is None else trains
     rows = bounded_sample(docs, labels, label, sample, trains, longest, id_col, text_col)
