@@ -1,12 +1,13 @@
 """Shards by proportional stratified interleaving.
 
-Rows of each source are put in a seeded order; a row's fractional rank is (rank - 1/2) / rows of the source. Sorting all rows by
-fractional rank interleaves the sources in proportion, so every contiguous cut of that order holds the mixture, and cutting it at
-equal counts gives shards whose row counts differ by one at most (the law `rows`).
+Rows of each source are put in a seeded order; a row's fractional rank is (rank - u) / rows of the source, u in (0, 1) being a hash of the source, so that sources of one row each
+spread over the whole range too. Sorting all rows by fractional rank interleaves the sources in proportion, so every contiguous cut of that order holds
+the mixture, and cutting it at equal counts gives shards whose row counts differ by one at most (the law `rows`).
 
 Neither rank needs a source, or the table, in one task: a first pass counts rows by (source, slice of the hash range), a second by
 slice of the fractional range; exclusive sums over those counts (at most `slices` for each source, and `slices` in all) give offsets, and
-row numbers are taken only inside a slice. Ties fall to the identifier; rows equal in all columns of the order are interchangeable.
+row numbers are taken only inside a slice. The order's hash takes the text's checksum with the identifier, so rows without identifier spread as well. Ties fall to the identifier;
+rows equal in all columns of the order are interchangeable.
 
 A null source is a source of its own, a null text has no bytes, a null identifier sorts first. An empty table gives an empty result.
 """
@@ -20,9 +21,9 @@ from pyspark.sql import functions as F
 HASH_SPAN = float(2**64)
 
 
-def interleaved_positions(docs: DataFrame, id_col: str = "doc_id", source_col: str = "source", seed: int = 7, slices: int = 1024) -> DataFrame:
+def interleaved_positions(docs: DataFrame, id_col: str = "doc_id", source_col: str = "source", crc_col: str = "crc", seed: int = 7, slices: int = 1024) -> DataFrame:
     """The input's columns and `_position`: each row's place from 0 in the interleaved order; `_total` beside it."""
-    drawn = docs.withColumn("_h", F.xxhash64(F.lit(seed), F.col(id_col).cast("string")))
+    drawn = docs.withColumn("_h", F.xxhash64(F.lit(seed), F.col(id_col).cast("string"), F.col(crc_col)))
     drawn = drawn.withColumn("_slice", F.least(F.floor((F.col("_h").cast("double") / HASH_SPAN + 0.5) * slices), F.lit(slices - 1)).cast("int"))
     drawn = drawn.withColumn("_s", F.struct(F.col(source_col).alias("v")))
     counts = drawn.groupBy("_s", "_slice").agg(F.count(F.lit(1)).alias("_in"))
@@ -30,7 +31,8 @@ def interleaved_positions(docs: DataFrame, id_col: str = "doc_id", source_col: s
     counts = counts.select("_s", "_slice", (F.sum("_in").over(whole.orderBy("_slice")) - F.col("_in")).alias("_before"), F.sum("_in").over(whole).alias("_of"))
     inside = W.partitionBy("_s", "_slice").orderBy("_h", id_col)
     ranked = drawn.join(counts, ["_s", "_slice"]).withColumn("_rank", F.col("_before") + F.row_number().over(inside))
-    ranked = ranked.withColumn("_f", (F.col("_rank") - 0.5) / F.col("_of")).withColumn("_cut", F.floor(F.col("_f") * slices).cast("int"))
+    shift = (F.pmod(F.xxhash64(F.lit(seed), F.col("_s.v").cast("string")), F.lit(1 << 30)) + 0.5) / float(1 << 30)
+    ranked = ranked.withColumn("_f", (F.col("_rank") - shift) / F.col("_of")).withColumn("_cut", F.floor(F.col("_f") * slices).cast("int"))
     ranked = ranked.drop("_slice", "_before", "_rank", "_of")
     sums = ranked.groupBy("_cut").agg(F.count(F.lit(1)).alias("_in"))
     line = W.orderBy("_cut")
@@ -49,7 +51,7 @@ def stratified_shards(docs: DataFrame, shards: int = 8, id_col: str = "doc_id",
         (F.octet_length(text) + 1).cast("long").alias("_size"),
         F.crc32(text).cast("long").alias("_crc"),
     )
-    placed = interleaved_positions(slim, "_id", "_source", seed, slices)
+    placed = interleaved_positions(slim, "_id", "_source", "_crc", seed, slices)
     placed = placed.withColumn("_shard", F.expr(f"_position * {shards} div _total"))
     start = F.expr(f"(_shard * _total + {shards - 1}) div {shards}")
     return placed.select(
