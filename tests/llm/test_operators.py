@@ -4,10 +4,12 @@ import hashlib
 import itertools
 import random
 import re
+import struct
 import zlib
 
 import numpy as np
 import pytest
+import xxhash
 from pyspark.sql import functions as F
 
 from studymap.llm import components, exact_dedup, latent_quality, mixing, near_dedup, sentencepiece_viterbi, sharding, substring_dedup, topk_search, toxic_crf, url_filter
@@ -38,7 +40,10 @@ def some(n=300, seed=1):
 def test_exact_duplicates(spark):
     rows = some() + [(7, "same", "a"), (7, "same", "a"), (None, "lone", "a"), (None, "same", "a")]
     d = docs(spark, rows)
+    rows += [(8000 + i, "long word " * 30_000, "a") for i in range(3)]
+    d = docs(spark, rows)
     got = exact_dedup.exact_duplicates(clashing(d), runs=16, fan_in=4).collect()
+    assert sorted(map(str, got)) == sorted(map(str, exact_dedup.exact_duplicates(d.repartition(5)).collect()))
     groups = {}
     for i, t, _ in rows:
         groups.setdefault(t or "", []).append(i)
@@ -54,10 +59,49 @@ def test_exact_duplicates(spark):
         assert kept == [best]
     left = exact_dedup.without_exact_duplicates(clashing(d))
     assert left.columns == clashing(d).columns and left.count() == len(groups)
+    assert sorted((r["doc_id"] is None, r["doc_id"], r["text"] or "") for r in left.collect() if r["doc_id"] is not None) == sorted((False, b, t) for t, b in ((t, max((i for i in g if i is not None), default=None)) for t, g in groups.items()) if b is not None)
     least = exact_dedup.exact_duplicates(d, keep="smallest").where("kept").count()
     assert least == len(groups) and exact_dedup.exact_duplicates(d.limit(0)).count() == 0
 
 
+def test_digest_runs_are_sorted_and_merged(spark):
+    """Six binomial rounds for 64 runs: each an exchange by run and slice with a pass over sorted entries behind it, none over unsorted ones, no Python."""
+    rows = spark.range(64).select(F.col("id").alias("_key"), (F.col("id") % 7).cast("string").alias("t"))
+    rows = exact_dedup._in_runs(exact_dedup._digested(rows, "_key", "t").drop("t"), "_key", 64)
+    plan = exact_dedup.merged_runs(rows, "_key", 64, 2, 6, "largest")._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("REPARTITION_BY_COL") == 6 and plan.count("SortAggregate") == 14 and "HashAggregate" not in plan and "Python" not in plan
+
+
+def spark_hash(*values):
+    """Spark's xxhash64 of ints (4 bytes), longs (8 bytes) and strings, nulls skipped, by the public hash."""
+    h = 42
+    for kind, v in values:
+        if v is not None:
+            h = xxhash.xxh64_intdigest(v.encode() if kind == "s" else struct.pack("<i" if kind == "i" else "<q", v), h)
+    return h - (1 << 64) if h >= 1 << 63 else h
+
+
+def test_shards_are_cut_from_the_interleaved_order(spark):
+    """The whole order by brute force: seeded order within each source, fractional ranks, cuts at equal counts; one-row sources spread as well."""
+    rows = [(i, t, s) for i, t, s in some()] + [(1000 + i, "lone " * (i % 5), f"site{i}") for i in range(400)] + [(None, f"text {i}", "b") for i in range(50)] + [(5000, "very long " * 40_000, "b")]
+    drawn = {}
+    for i, t, s in rows:
+        drawn.setdefault(s, []).append((spark_hash(("i", 7), ("s", None if i is None else str(i)), ("l", zlib.crc32((t or "").encode()))), i is not None, i or 0, t))
+    line = []
+    for s, mine in drawn.items():
+        u = (spark_hash(("i", 7), ("s", s)) % (1 << 30) + 0.5) / (1 << 30)
+        line += [((r + 1 - u) / len(mine), s is not None, s or "", *m) for r, m in enumerate(sorted(mine, key=lambda m: m[:3]))]
+    line.sort(key=lambda x: x[:-1])
+    n, want = len(line), []
+    for k, x in enumerate(line):
+        shard = 8 * k // n
+        want.append((x[5] if x[4] else -1, zlib.crc32((x[6] or "").encode()), shard, k - (shard * n + 7) // 8))
+    got = sharding.stratified_shards(docs(spark, rows), 8, slices=64).collect()
+    assert sorted((-1 if r["doc_id"] is None else r["doc_id"], r["text_crc32"], r["shard"], r["slot"]) for r in got) == sorted(want)
+    lone = [sum((r["doc_id"] or 0) // 400 in (2, 3) and 1000 <= r["doc_id"] < 1400 for r in got if r["shard"] == k and r["doc_id"] is not None) for k in range(8)]
+    assert min(lone) > 25
+
+
 def test_shards(spark):
     rows = some() + [(5, "again", "a"), (5, "again", "a")]
     got = sharding.stratified_shards(clashing(docs(spark, rows)), 8, slices=16).collect()
@@ -208,6 +252,31 @@ def test_near_duplicates(spark):
     assert near_dedup.near_duplicates(docs(spark, [])).count() == 0
 
 
+def test_near_duplicates_of_repeated_identifiers(spark):
+    """Two texts under one identifier keep their links; rows of one identifier are one document; very long texts are whole."""
+    rng = random.Random(3)
+    a, b, c = (" ".join(f"{n}{rng.randrange(10**6)}" for _ in range(90)) for n in "abc")
+    long_ = " ".join(f"l{rng.randrange(10**6)}" for _ in range(21_000))
+    rows = [(1, a, "s"), (1, b, "s"), (2, a + " one", "s"), (3, b + " one", "s"), (4, c, "s"), (4, c, "s"), (4, None, "s"), (5, c + " two", "s"), (6, "", "s"), (6, " ", "s"), (7, long_, "s"), (8, long_ + " tail", "s"), (9, long_[: len(long_) // 2], "s"), (0, "", "s"), (0, a + " three", "s")]
+    got = sorted((r["doc_id"], r["component_id"], r["kept"]) for r in near_dedup.near_duplicates(clashing(docs(spark, rows))).collect())
+    assert got == sorted((i, g, i == g) for i, g in ((1, 0), (1, 0), (2, 0), (3, 0), (4, 4), (4, 4), (4, 4), (5, 4), (6, 6), (6, 6), (7, 7), (8, 7), (9, 9), (0, 0), (0, 0)))
+    left = near_dedup.without_near_duplicates(docs(spark, rows))
+    assert sorted(r["doc_id"] for r in left.collect()) == [0, 0, 4, 4, 4, 6, 6, 7, 9]
+
+
+def test_open_buckets_test_every_pair_of_components(spark):
+    """Members of a bucket's largest component meet all others and not each other; all others meet."""
+    rows = [(1, i, 100 if i < 40 else i) for i in range(55)] + [(2, 1, 5), (2, 2, 5)]
+    placed = spark.createDataFrame(rows, "_key long, _c long, _component long").withColumn("_salt", near_dedup.salt("_c"))
+    cells = {}
+    for r in near_dedup._open_members(placed, 4).collect():
+        assert r["_key"] == 1
+        cells.setdefault((r["_i"], r["_j"]), set()).add(r["_c"])
+    met = {p for m in cells.values() for p in itertools.combinations(sorted(m), 2)}
+    assert all((i, j) in met for i, j in itertools.combinations(range(55), 2) if j >= 40)
+    assert len(cells) < 120
+
+
 def test_min_and_max_agree_with_similarity():
     rng = np.random.default_rng(0)
     a = rng.integers(0, 2**63, 400, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
