@@ -7,12 +7,14 @@ bucket can be judged alone.
 1. One pass over all texts writes the minimisers of each document. A minimiser that occurs in one document only cannot hold a repeated window,
    so only super-k-mers of minimisers that two documents share travel on: a lossless cut.
 2. Super-k-mers are packed; equal ones within a task are combined to the least document before the shuffle, so a group of copies sends one string per task.
-3. Each bucket expands its strings into windows and sorts them by a 128-bit hash; the least document of each window is read off the sorted runs.
+3. Each bucket expands its distinct strings into windows and sorts them by two rolling hashes over two word hashes; the least document of each window is read off the sorted runs.
 4. Every occurrence looks up its string's windows; those that also start in a smaller document are marked, and words that a marked window covers go.
+5. A minimiser whose super-k-mers hold more than `heavy_words` words in all (a passage that a large share of all documents has, in ever other surroundings) gets no bucket: its windows
+   are dealt one by one by their own two hashes, least documents are combined before the shuffle, and a window of very many documents is joined back by salt.
 
 Windows are judged on the input, not on what is left. Null and empty texts have no words; texts shorter than a window lose nothing; a null identifier is
 neither smaller nor larger than another, so such rows stay whole. Rows that repeat an identifier are judged each by its own text, and never against each other. An
-empty table gives an empty result. Memory: a batch of texts, and the distinct super-k-mers of one minimiser.
+empty table gives an empty result. Memory: a batch of texts, and the strings of one minimiser, at most `heavy_words` words.
 """
 
 from __future__ import annotations
@@ -25,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import WordHashes, checkpointed, ragged, rolling, words_of
+from .base import WordHashes, checkpointed, ragged, rolling, salt, salts_seen, spread, words_of
 
 SKMER = "array<struct<v:bigint,s:int,c:int>>"
 
@@ -126,14 +128,14 @@ def _places(hit: DataFrame, window: int) -> DataFrame:
     return hit.select("_id", "_th", "_t", "_k").mapInArrow(run, "_id long, _th long, _s int, _p1 long, _p2 long")
 
 
-def _judge(packed: list[bytes], least: np.ndarray, window: int, cache: WordHashes) -> list[np.ndarray]:
+def _judge(packed: list[bytes], least: np.ndarray, window: int, caches: tuple[WordHashes, WordHashes]) -> list[np.ndarray]:
     """For each packed string, the least document of each of its windows among all strings given."""
-    parts = [cache.of(p.split()) for p in packed]
+    parts = [p.split() for p in packed]
     sizes = np.fromiter(map(len, parts), np.int64, len(parts))
     counts = sizes - window + 1
-    flat = np.concatenate(parts)
+    flat = [w for p in parts for w in p]
     inside = ragged(np.cumsum(sizes) - sizes, counts)  # first words of windows that end in their own string
-    first, second = rolling(flat, window)[inside], rolling(flat, window, seed=1)[inside]
+    first, second = (rolling(c.of(flat), window, seed=k)[inside] for k, c in enumerate(caches))
     mine = np.repeat(least, counts)
     order = np.lexsort((second, first))
     a, b = first[order], second[order]
@@ -145,29 +147,27 @@ def _judge(packed: list[bytes], least: np.ndarray, window: int, cache: WordHashe
 
 
 def _buckets(packed: DataFrame, window: int, least_bytes: int = 2_000_000) -> DataFrame:
-    """Rows sorted by minimiser within their partition -> (_p1, _p2, _mins) of every distinct string."""
+    """Rows sorted by minimiser and string within their partition -> (_p1, _p2, _mins) of every distinct string."""
 
     def run(batches):
-        cache = WordHashes()
+        caches = WordHashes(), WordHashes(seed=1)
 
         def done(rows):
-            joined: dict[tuple[int, int], list] = {}
-            for v, string, p1, p2, low in rows:
-                row = joined.setdefault((p1, p2), [string, low])
-                row[1] = min(row[1], low)
-            keys = np.array(list(joined), np.int64)
-            mins = _judge([r[0] for r in joined.values()], np.array([r[1] for r in joined.values()], np.int64), window, cache)
+            mins = _judge([r[1] for r in rows], np.array([r[4] for r in rows], np.int64), window, caches)
             offsets = np.concatenate([[0], np.cumsum([len(m) for m in mins])])
+            keys = np.array([r[2:4] for r in rows], np.int64)
             return pa.RecordBatch.from_arrays([pa.array(keys[:, 0]), pa.array(keys[:, 1]), pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(np.concatenate(mins)))], names=["_p1", "_p2", "_mins"])
 
-        rows, size, last = [], 0, None
+        rows, size = [], 0
         for batch in batches:
             for row in zip(*(c.to_pylist() for c in batch.columns)):
-                if size > least_bytes and row[0] != last:
+                if rows and row[2] == rows[-1][2] and row[3] == rows[-1][3]:
+                    rows[-1][4] = min(rows[-1][4], row[4])  # the same string from another task
+                    continue
+                if size > least_bytes and row[0] != rows[-1][0]:
                     yield done(rows)
                     rows, size = [], 0
-                last = row[0]
-                rows.append(row)
+                rows.append(list(row))
                 size += len(row[1])
         if rows:
             yield done(rows)
@@ -175,18 +175,49 @@ def _buckets(packed: DataFrame, window: int, least_bytes: int = 2_000_000) -> Da
     return packed.mapInArrow(run, "_p1 long, _p2 long, _mins array<long>")
 
 
-def _marked(docs: DataFrame, window: int, piece: int) -> DataFrame:
+def _windows(hit: DataFrame, window: int) -> DataFrame:
+    """(_id, _th, _at, _w1, _w2): every window of the super-k-mers given, by its first word and its two hashes."""
+
+    def run(batches):
+        caches = WordHashes(), WordHashes(seed=1)
+        for batch in batches:
+            for at in range(0, batch.num_rows, 200):
+                part = batch.slice(at, 200)
+                ids, hashes, places, firsts, seconds = [], [], [], [], []
+                for key, th, text, cells in zip(part.column("_id").to_pylist(), part.column("_th").to_pylist(), part.column("_t"), part.column("_k")):
+                    words = words_of(text.as_py())
+                    runs = cells.as_py()
+                    here = ragged(np.array([x["s"] for x in runs]), np.array([x["c"] for x in runs]))
+                    a, b = (rolling(c.of(words), window, seed=k)[here] for k, c in enumerate(caches))
+                    ids.append(np.full(len(here), key))
+                    hashes.append(np.full(len(here), th))
+                    places.append(here.astype(np.int32))
+                    firsts.append(a.view(np.int64))
+                    seconds.append(b.view(np.int64))
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (ids, hashes, places, firsts, seconds)], names=["_id", "_th", "_at", "_w1", "_w2"])
+
+    return hit.select("_id", "_th", "_t", "_k").mapInArrow(run, "_id long, _th long, _at int, _w1 long, _w2 long")
+
+
+def _marked(docs: DataFrame, window: int, piece: int, heavy_words: int) -> DataFrame:
     """(_id, _th, _w): the first words of the windows of each document that also start in a smaller one."""
-    kmers = checkpointed(_minimisers(docs, window, piece)).select("_id", "_th", F.explode("_k").alias("_k")).select("_id", "_th", "_k", F.col("_k.v").alias("_v"))
-    shared = kmers.groupBy("_v").agg(F.min("_id").alias("_lo"), F.max("_id").alias("_hi")).where("_lo < _hi").select("_v")
-    hits = kmers.join(shared, "_v").groupBy("_id", "_th").agg(F.collect_set("_k").alias("_k"))
+    kmers = checkpointed(_minimisers(docs, window, piece)).select("_id", "_th", F.explode("_k").alias("_k"), salt("_id").alias("_salt")).select("_id", "_th", "_k", F.col("_k.v").alias("_v"), "_salt")
+    shared = kmers.groupBy("_v").agg(F.min("_id").alias("_lo"), F.max("_id").alias("_hi"), F.sum(F.col("_k.c") + window - 1).alias("_words"), salts_seen()).where("_lo < _hi")
+    shared = spread(shared.select("_v", (F.col("_words") > heavy_words).alias("h"), "_salts"))
+    hits = kmers.join(shared, ["_v", "_salt"]).groupBy("_id", "_th").agg(F.collect_set(F.struct("_k.v", "_k.s", "_k.c", "h")).alias("_k"))
     hit = docs.join(hits.hint("shuffle_hash"), ["_id", "_th"])
-    packed = _pack(hit, window).repartition("_v").sortWithinPartitions("_v")
-    mins = _buckets(packed, window)
-    found = _places(hit, window).join(mins, ["_p1", "_p2"])
+    light = hit.withColumn("_k", F.filter("_k", lambda k: ~k["h"])).where("size(_k) > 0")
+    heavy = hit.withColumn("_k", F.filter("_k", lambda k: k["h"])).where("size(_k) > 0")
+
+    packed = _pack(light, window).repartition("_v").sortWithinPartitions("_v", "_p1", "_p2")
+    found = _places(light, window).join(_buckets(packed, window), ["_p1", "_p2"])
     low = F.filter(F.sequence(F.lit(0), F.size("_mins") - 1), lambda i: F.get("_mins", i) < F.col("_id"))
     found = found.select("_id", "_th", F.transform(low, lambda i: i + F.col("_s")).alias("_w")).where("size(_w) > 0")
-    return found.groupBy("_id", "_th").agg(F.flatten(F.collect_list("_w")).alias("_w"))
+
+    each = _windows(heavy, window).withColumn("_salt", salt("_id"))
+    least = each.groupBy("_w1", "_w2").agg(F.min("_id").alias("_lo"), F.max("_id").alias("_hi"), salts_seen()).where("_lo < _hi").drop("_hi")
+    late = each.join(spread(least), ["_w1", "_w2", "_salt"]).where("_lo < _id").groupBy("_id", "_th").agg(F.collect_set("_at").alias("_w"))
+    return found.unionByName(late).groupBy("_id", "_th").agg(F.flatten(F.collect_list("_w")).alias("_w"))
 
 
 def kept_words(words: list[bytes], marked, window: int) -> list[bytes]:
@@ -199,10 +230,10 @@ def kept_words(words: list[bytes], marked, window: int) -> list[bytes]:
     return [words[i] for i in np.flatnonzero(np.cumsum(cover[:-1]) == 0)]
 
 
-def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", window: int = 50, piece: int = 8, texts: bool = False) -> DataFrame:
+def remove_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", window: int = 50, piece: int = 8, texts: bool = False, heavy_words: int = 100_000) -> DataFrame:
     """One row per input row: id, n_words, n_removed, kept_sha256 and, if asked for, kept_text (the kept words joined by one blank)."""
     plain = docs.select(F.col(id_col).cast("long").alias("_id"), F.col(text_col).alias("_t")).withColumn("_th", F.xxhash64("_t"))
-    marked = _marked(plain.where("_id is not null"), window, piece)
+    marked = _marked(plain.where("_id is not null"), window, piece, heavy_words)
     joined = plain.where("_id is not null").join(marked.hint("shuffle_hash"), ["_id", "_th"], "left")
     joined = joined.select("_id", "_t", "_w").unionByName(plain.where("_id is null").select("_id", "_t", F.lit(None).cast("array<int>").alias("_w")))
 
