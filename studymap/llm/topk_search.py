@@ -1,22 +1,24 @@
 """Exact top-k inner products by norm-bucketed retrieval.
 
 Vectors are grouped by length: bucket b holds lengths in [ratio^b, ratio^(b+1)), so inside a bucket an inner product is a cosine up to a known factor. Buckets are
-cut into blocks of bounded size by a hash of the identifier, queries into blocks likewise, and each (query block, vector block) pair is one unit of work: the
-stated query set meets all rows in blocks. A first pass over the longest vectors (a fixed number) gives every query a running threshold: the k-th
-best product among them, which no later result can undercut. In a unit, a query's local cosine threshold is threshold / (its length * the block's largest
-length). Above 1 the whole block is skipped for that query. Near 1 coordinate pruning is chosen: unit vectors whose largest-focus coordinates lie outside the
-interval that the threshold allows cannot reach it. Otherwise length pruning: within the block, sorted by length, only a prefix can reach the threshold. What is
-left is verified by exact products (integers below 2^53 in float64), and each unit keeps its k best per query.
+cut into blocks of bounded size by a hash of the identifier. A first pass over the longest vectors (a fixed number) gives every query a running threshold: the k-th
+best product among them, which no later result can undercut; a query is only sent to buckets whose largest length can reach it. Each task holds one block and lets the
+queries stream past it: a vector is sent once for each slice of `query_block` queries (once in all, up to that many), a query once for each block it may find something in. In
+a block, a query's local cosine threshold is threshold / (its length * the block's largest length). Above 1 the whole block is skipped for that query. Near 1 coordinate
+pruning is chosen: unit vectors whose largest-focus coordinates lie outside the interval that the threshold allows cannot reach it. Otherwise length pruning: within the
+block, sorted by length, only a prefix can reach the threshold. What is left is verified by exact products (integers below 2^53 in float64), and each block gives its k best
+per query.
 
 Vectors that are null, empty, of another dimension than the table's most frequent one, or hold null or non-finite components take no part, neither as queries nor as
 candidates; nor do null identifiers. Zero vectors have length 0 and take part with products 0. Ties go to the smaller identifier. Repeated rows of one identifier are candidates
-each; a query never meets rows with its own identifier. An empty table gives an empty result.
+each, and queries each with their own ranks; a query never meets rows with its own identifier. An empty table gives an empty result.
 """
 
 from __future__ import annotations
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -92,7 +94,7 @@ def _unit(queries: np.ndarray, q_ids: np.ndarray, q_len: np.ndarray, least: np.n
     return np.concatenate(out_q), np.concatenate(out_v), np.concatenate(out_s)
 
 
-def top_k(vectors: DataFrame, is_query, k: int = 20, id_col: str = "vec_id", vector_col: str = "embedding", scale: int = 64, seed_size: int = 2048, block: int = 8192, query_block: int = 2048) -> DataFrame:
+def top_k(vectors: DataFrame, is_query, k: int = 20, id_col: str = "vec_id", vector_col: str = "embedding", scale: int = 64, seed_size: int = 2048, block: int = 8192, query_block: int = 65_536) -> DataFrame:
     """(query_id, rank, vec_id, score) for every row for which the column `is_query` (over id_col) holds, against all other rows."""
     x = quantised(vectors, id_col, vector_col, scale)
     bucket = F.when(F.col("_len") > 0, F.floor(F.log(F.col("_len")) / float(np.log(RATIO)))).otherwise(F.lit(-1)).cast("int")
@@ -119,23 +121,44 @@ def top_k(vectors: DataFrame, is_query, k: int = 20, id_col: str = "vec_id", vec
             yield pd.DataFrame({"_id": b["_id"], "_v": b["_v"], "_len": b["_len"], "_least": least})
 
     asked = x.where("_q").select("_id", "_v", "_len").mapInPandas(thresholds, "_id long, _v array<long>, _len double, _least double")
-    asked = asked.withColumn("_qb", F.pmod(F.xxhash64("_id"), F.lit(q_blocks)).cast("int"))
+    asked = asked.withColumn("_row", F.monotonically_increasing_id()).withColumn("_qb", F.pmod(F.xxhash64("_id"), F.lit(q_blocks)).cast("int"))
     stored = x.withColumn("_part", F.pmod(F.xxhash64(F.lit(1), "_id"), F.element_at(parts, F.col("_bucket"))).cast("int"))
-    stored = stored.withColumn("_qb", F.explode(F.sequence(F.lit(0), F.lit(q_blocks - 1)))).select("_qb", "_bucket", "_part", "_id", "_v", "_len")
-    # Queries go to every block of vectors: one row for each (query, block), of which there are n / `block`.
+    stored = stored.withColumn("_qb", F.explode(F.sequence(F.lit(0), F.lit(q_blocks - 1))))
+    stored = stored.withColumns({"_row": F.lit(-1).cast("long"), "_least": F.lit(0.0)})
+    # Only queries that a bucket's largest length can serve go to its blocks, of which there are n / `block`.
     buckets = F.array(*(F.lit(r["_bucket"]) for r in sizes)) if sizes else F.array(F.lit(0))
     able = (F.col("_bucket") < 0) | (F.col("_least") <= F.col("_len") * F.pow(F.lit(RATIO), F.col("_bucket") + 1) * (1 + 1e-9))
     sent = asked.withColumn("_bucket", F.explode(buckets)).where(able)
-    sent = sent.withColumn("_part", F.explode(F.sequence(F.lit(0), F.element_at(parts, F.col("_bucket")) - 1))).select("_qb", "_bucket", "_part", "_id", "_v", "_len", "_least")
-
-    def unit(key, queries, block_):
-        if not len(queries) or not len(block_):
-            return pd.DataFrame({"query_id": pd.Series(dtype="int64"), "vec_id": pd.Series(dtype="int64"), "score": pd.Series(dtype="int64")})
-        q, v = np.array([*queries["_v"]], np.float64), np.array([*block_["_v"]], np.float64)
-        a, b, s = _unit(q, queries["_id"].to_numpy(), queries["_len"].to_numpy(), queries["_least"].to_numpy(), v, block_["_id"].to_numpy(), block_["_len"].to_numpy(), k)
-        return pd.DataFrame({"query_id": queries["_id"].to_numpy()[a.astype(int)], "vec_id": b.astype("int64"), "score": s.astype("int64")})
-
-    keys = ["_qb", "_bucket", "_part"]
-    found = sent.groupBy(*keys).cogroup(stored.groupBy(*keys)).applyInPandas(unit, "query_id long, vec_id long, score long")
-    order = W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
+    sent = sent.withColumn("_part", F.explode(F.sequence(F.lit(0), F.element_at(parts, F.col("_bucket")) - 1)))
+    cells = ["_qb", "_bucket", "_part", "_row", "_id", "_len", "_least", "_v"]
+    # Within a cell the vectors of the block (row -1) come first.
+    line = stored.select(*cells).unionByName(sent.select(*cells)).repartition("_qb", "_bucket", "_part").sortWithinPartitions("_qb", "_bucket", "_part", "_row")
+
+    def run(batches):
+        held, now, block_ = [], None, None
+        for b in batches:
+            cell = np.stack([b.column(c).to_numpy() for c in ("_qb", "_bucket", "_part")], 1)
+            row, ids, lengths, least = (b.column(c).to_numpy() for c in ("_row", "_id", "_len", "_least"))
+            lists = b.column("_v")
+            values = lists.flatten().to_numpy().astype(np.float64).reshape(len(row), -1)
+            asks = row >= 0
+            cuts = np.flatnonzero((cell[1:] != cell[:-1]).any(1) | (asks[1:] != asks[:-1])) + 1
+            for lo, hi in zip([0, *cuts], [*cuts, len(row)]):
+                if lo == hi:
+                    continue
+                if now != tuple(cell[lo]):
+                    held, now, block_ = [], tuple(cell[lo]), None
+                if not asks[lo]:
+                    held.append((values[lo:hi], ids[lo:hi], lengths[lo:hi]))
+                    continue
+                if not held:
+                    continue
+                if block_ is None:
+                    block_ = [np.concatenate(c) for c in zip(*held)]
+                q, v, s = _unit(values[lo:hi], ids[lo:hi], lengths[lo:hi], least[lo:hi], *block_, k)
+                at = q.astype(int) + lo
+                yield pa.RecordBatch.from_arrays([pa.array(row[at], pa.int64()), pa.array(ids[at], pa.int64()), pa.array(v.astype(np.int64)), pa.array(s.astype(np.int64))], names=["_row", "query_id", "vec_id", "score"])
+
+    found = line.mapInArrow(run, "_row long, query_id long, vec_id long, score long")
+    order = W.partitionBy("_row").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
