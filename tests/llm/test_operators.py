@@ -200,13 +200,14 @@ def test_top_k(spark, near_one):
     if near_one:
         x[:, 0] += 30
     rows = [(i, [float(v) for v in r], 0) for i, r in enumerate(x)] + [(400, None, 0), (420, [float("nan")] * 16, 0), (440, [1.0] * 15 + [None], 0), (460, [1.0], 0), (480, [0.0] * 16, 0), (500, rows0 := [float(v) for v in x[3]], 0), (501, rows0, 0)]
+    rows += [(20, rows0, 0), (40, [float(v) for v in x[40]], 0), (7, rows0, 0)]  # repeated rows, of queries too
     v = clashing(spark.createDataFrame(rows, "vec_id long, embedding array<double>, label int"))
     got = topk_search.top_k(v, lambda i: i % 20 == 0, k=20, seed_size=64, block=50, query_block=8).collect()
-    keep = {i: np.floor(64 * np.array(r)).astype(int) for i, r, _ in rows if r and len(r) == 16 and all(q is not None and np.isfinite(q) for q in r)}
+    keep = [(i, np.floor(64 * np.array(r)).astype(int)) for i, r, _ in rows if r and len(r) == 16 and all(q is not None and np.isfinite(q) for q in r)]
     want = []
-    for q in keep:
+    for q, a in keep:
         if q % 20 == 0:
-            best = sorted((-int(keep[q] @ keep[c]), c) for c in keep if c != q)[:20]
+            best = sorted((-int(a @ b), c) for c, b in keep if c != q)[:20]
             want += [(q, k + 1, c, -s) for k, (s, c) in enumerate(best)]
     assert sorted(map(tuple, got)) == sorted(want)
     assert topk_search.top_k(v.limit(0), lambda i: i % 20 == 0).count() == 0
@@ -311,6 +312,21 @@ def test_substrings(spark):
         assert (got[i]["n_words"], got[i]["n_removed"], got[i]["kept_sha256"], got[i]["kept_text"]) == (len(w), len(gone), hashlib.sha256(kept.encode()).hexdigest(), kept), i
     assert got[None]["n_removed"] == 0 and len(got) == len(rows)
     assert substring_dedup.remove_repeats(docs(spark, [])).count() == 0
+    # Heavy minimisers, windows dealt one by one, give the same; so does a mixture of both ways.
+    for bound in (0, 2000):
+        other = {r["doc_id"]: r for r in substring_dedup.remove_repeats(docs(spark, rows), texts=True, heavy_words=bound).collect()}
+        assert other == got
+
+
+def test_substrings_of_repeated_identifiers_and_long_texts(spark):
+    """Rows of one identifier are judged each by its own text, never against each other."""
+    rng = random.Random(6)
+    a, b = ([f"{n}{rng.randrange(10**6)}" for _ in range(80)] for n in "ab")
+    long_ = [f"l{rng.randrange(3000)}" for _ in range(60_000)]
+    rows = [(1, " ".join(a), "s"), (1, " ".join(b), "s"), (1, " ".join(a), "s"), (2, " ".join(b + ["x"]), "s"), (3, " ".join(long_), "s"), (4, " ".join(long_[100:] + a), "s")]
+    for bound in (100_000, 0):
+        got = sorted((r["doc_id"], r["n_words"], r["n_removed"]) for r in substring_dedup.remove_repeats(docs(spark, rows), heavy_words=bound).collect())
+        assert got == [(1, 80, 0), (1, 80, 0), (1, 80, 0), (2, 81, 80), (3, 60_000, 0), (4, 59_980, 59_980)]
 
 
 def test_segmentation_is_best_path():
