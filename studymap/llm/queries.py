@@ -84,7 +84,7 @@ def op5(spark, sf_dir):
 
 @query("op6_quality_weighted_mix")
 def op6(spark, sf_dir):
-    return mix(table(spark, sf_dir, "documents")).drop("copies")
+    return mix(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels").select("doc_id", "quality")).drop("copies")
 
 
 SQL8 = """

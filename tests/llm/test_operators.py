@@ -159,7 +159,6 @@ def test_mix(spark):
     for s in ("big", "mid", "tiny"):
         c = {r["copies"] for r in got if source[r["doc_id"]] == s}
         assert max(c) - min(c) <= 1
-    # The fraction is a prefix of the key order.
     again = mixing.mix(d.repartition(5), slices=7).collect()
     assert sorted((r["doc_id"], r["taken"]) for r in got) == sorted((r["doc_id"], r["taken"]) for r in again)
     out = mixing.mixed_documents(clashing(d))
@@ -167,6 +166,46 @@ def test_mix(spark):
     assert mixing.mix(docs(spark, [])).count() == 0
 
 
+def test_mix_takes_prefixes_of_the_key_order(spark):
+    """The selection by brute force: exponential keys from hash and weight, complete epochs, then the prefix that fills the rest to half a document."""
+    rng = random.Random(7)
+    rows = [(i, " ".join(["w"] * rng.randrange(1, 30)), rng.choice(["big"] * 9 + ["mid"] * 3 + ["tiny", None]), rng.choice([0.0, 0.2, 1.0, 3.0, None])) for i in range(700)]
+    rows += [(None, f"x {i}", "big", 1.0) for i in range(20)] + [(5, "again again", "mid", 1.0), (3000, "w " * 20_000, "mid", 1.0)]
+    sizes, keyed = {}, {}
+    for i, t, s, q in rows:
+        n = len(t.split())
+        sizes[s] = sizes.get(s, 0) + n
+        u = (spark_hash(("i", 11), ("s", None if i is None else str(i)), ("l", zlib.crc32(t.encode()))) % (1 << 52) + 0.5) / (1 << 52)
+        keyed.setdefault(s, []).append((-np.log(u) / max(q or 0, 0.05), i is not None, i or 0, n))
+    want = []
+    for s, target in fill(sizes).items():
+        epochs = min(3, int(target / sizes[s] + 1e-12))
+        at, rest = 0, target - epochs * sizes[s]
+        for _, named, i, n in sorted(keyed[s]):
+            want.append((i if named else -1, n, n * (epochs + (at + n / 2 <= rest and epochs < 3 and rest > 0))))
+            at += n
+    d = spark.createDataFrame(rows, "doc_id long, text string, source string, q double")
+    got = mixing.mix(d, weight_col="q").collect()
+    assert sorted((-1 if r["doc_id"] is None else r["doc_id"], r["size"], r["taken"]) for r in got) == sorted(want)
+
+
+def test_mix_weights_are_learnt(spark):
+    rng = random.Random(8)
+    rows, labels = [], []
+    for i in range(400):
+        w = [rng.choice(["river", "runs", "over", "old", "stone", "moss"]) + str(rng.randrange(9)) * (i % 3 == 0) for _ in range(rng.randrange(30, 60))]
+        rows.append((i, " ".join(w) if i % 2 else " ".join(x.upper() + "%%%" for x in w), "a"))
+        labels.append((i, i % 2))
+    d, l = docs(spark, [*rows, (1000, None, "a"), (1001, "", "b")]), spark.createDataFrame([*labels, (0, 1), (3, None)], "doc_id long, quality int")
+    model = mixing.train_weight(d, l)
+    weight = lambda t: model(np.array([mixing.form_of(t.encode())[1]]))[0]
+    assert all((weight(t) > 0.5) == bool(i % 2) for i, t, _ in rows)
+    got = mixing.mix(d, l, weights=(1, 9)).where("source_size > 100").collect()
+    share = [np.mean([r["taken"] > 0 for r in got if r["doc_id"] % 2 == k]) for k in (0, 1)]
+    assert len(got) == 401 and share[1] > share[0]
+    assert mixing.train_weight(d, l.limit(0)) is None and mixing.mix(d.limit(0), l).count() == 0
+
+
 def test_heavier_documents_are_taken_first(spark):
     rows = [(i, "w " * 10, "a", 0.1 if i % 2 else 5.0) for i in range(2000)] + [(9999, "w " * 60000, "b", 1.0)]
     d = spark.createDataFrame(rows, "doc_id long, text string, source string, q double")
