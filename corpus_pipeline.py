@@ -6,7 +6,7 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
-from studymap.llm.base import table, work_folder
+from studymap.llm.base import remove, table, work_folder
 from studymap.llm.exact_dedup import without_exact_duplicates
 from studymap.llm.mixing import mixed_documents
 from studymap.llm.near_dedup import without_near_duplicates
@@ -33,8 +33,8 @@ def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Sources take their shares of the words; documents of small sources repeat, those beyond a large source's share go."""
-    return mixed_documents(docs)
+    """Sources take their shares of the words, better documents first; documents of small sources repeat, those beyond a large source's share go."""
+    return mixed_documents(docs, table(spark, sf_dir, "labels").select("doc_id", "quality"))
 
 
 def tokenise(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -46,12 +46,16 @@ STAGES = [("toxicity", toxicity), ("exact_dedup", exact_dedup), ("near_dedup", n
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over documents, each written as Parquet in the shared folder and read again by the next."""
+    """All stages over documents, each written as Parquet in the shared folder and read again by the next; a stage's files go once the next one is written."""
     folder = f"{work_folder(spark)}/pipeline-{uuid.uuid4().hex}"
-    docs = table(spark, sf_dir, "documents")
+    docs, before = table(spark, sf_dir, "documents"), None
     for k, (name, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
         if k < len(STAGES) - 1:
-            docs.write.parquet(f"{folder}/{k}-{name}")
-            docs = spark.read.parquet(f"{folder}/{k}-{name}")
+            at = f"{folder}/{k}-{name}"
+            docs.write.parquet(at)
+            docs = spark.read.parquet(at)
+            if before:
+                remove(spark, before)
+            before = at
     return docs
