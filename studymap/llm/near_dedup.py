@@ -151,9 +151,12 @@ def _open_members(placed: DataFrame, block: int) -> DataFrame:
     parts = placed.groupBy("_key", "_component").agg(F.count(F.lit(1)).alias("_k"), salts_seen())
     open_ = parts.groupBy("_key").agg(F.max_by("_component", "_k").alias("_main"), F.max("_k").alias("_in"), F.sum("_k").alias("_m"), F.count(F.lit(1)).alias("_of"), F.bit_or("_salts").alias("_salts"))
     blocks = lambda n: F.ceil(n / block).cast("int")
-    open_ = open_.where("_of > 1").select("_key", "_main", blocks(F.col("_in")).alias("_mains"), blocks(F.col("_m") - F.col("_in")).alias("_others"), "_salts")
+    small = F.col("_m") <= block  # one block holds it all
+    open_ = open_.where("_of > 1").select(
+        "_key", F.when(~small, F.col("_main")).alias("_main"), F.when(small, 0).otherwise(blocks(F.col("_in"))).alias("_mains"), F.when(small, 1).otherwise(blocks(F.col("_m") - F.col("_in"))).alias("_others"), "_salts"
+    )
     x = placed.join(spread(open_), ["_key", "_salt"])
-    main, h = F.col("_component") == F.col("_main"), F.xxhash64("_c")
+    main, h = F.coalesce(F.col("_component") == F.col("_main"), F.lit(False)), F.xxhash64("_c")
     own = F.when(main, F.col("_others") + F.pmod(h, F.col("_mains"))).otherwise(F.pmod(h, F.col("_others"))).cast("int")
     last = F.when(main, F.col("_others")).otherwise(F.col("_others") + F.col("_mains")) - 1
     x = x.withColumn("_own", own).withColumn("_other", F.explode(F.sequence(F.lit(0), last)))
