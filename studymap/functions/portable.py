@@ -24,6 +24,22 @@ def permille(id_: str, salt: int) -> str:
     return f"({stream(id_, salt)} % 1000)"
 
 
+def inline_table(spark, rows, schema: str):
+    """A short literal table as part of the plan: no job, no Python rows. `schema`: 'name type, ...'."""
+    fields = [f.strip().split(" ", 1) for f in schema.split(",")]
+
+    def cell(v):
+        if v is None:
+            return "NULL"
+        if isinstance(v, str):
+            return "'" + v.replace("\\", "\\\\").replace("'", "\\'") + "'"
+        return str(v).lower() if isinstance(v, bool) else repr(v)
+
+    casts = ", ".join(f"CAST(col{i + 1} AS {kind}) AS `{name}`" for i, (name, kind) in enumerate(fields))
+    body = ", ".join("(" + ", ".join(map(cell, r)) + ")" for r in rows) or "(" + ", ".join(["NULL"] * len(fields)) + ")"
+    return spark.sql(f"SELECT {casts} FROM VALUES {body}" + ("" if rows else " WHERE false"))
+
+
 def incomplete_beta(a: float, b: float, x: float) -> float:
     """Regularised incomplete beta function by its continued fraction."""
     if x <= 0 or x >= 1:

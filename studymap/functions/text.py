@@ -10,8 +10,14 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-#: Keyword tables are broadcast; they hold one row per class and keyword of a catalogue, and a table beyond this is refused.
+from .lineage import cut
+from .portable import inline_table
+
+#: Reference tables of at most this many rows are broadcast: one row per class and keyword, or per q-gram of a keyword, of a catalogue. Larger ones are joined by shuffle.
 MOST_KEYWORDS = 200_000
+SMALL_BYTES = 1 << 20
+#: Reference tables of at most this many rows are held as literal tables of the plan.
+MOST_LITERAL = 2000
 
 
 def normalise(x: Column) -> Column:
@@ -27,11 +33,26 @@ def qgrams(df: DataFrame, key: str, text: str, q: int) -> DataFrame:
     return df.where(n >= 1).select(key, F.posexplode(grams).alias("pos", "gram"))
 
 
-def checked_broadcast(ref: DataFrame, most: int = MOST_KEYWORDS) -> DataFrame:
-    """Broadcast a reference table after counting that it is one."""
-    if ref.limit(most + 1).count() > most:
-        raise ValueError(f"a reference table of more than {most} rows is not broadcast; bucket it and join it by shuffle")
-    return F.broadcast(ref)
+def checked_broadcast(ref: DataFrame, most: int = MOST_KEYWORDS, equi: bool = True) -> DataFrame:
+    """A reference table marked for broadcast after its size is known: by the plan, where it is a literal table that nothing multiplies, or else by a count.
+
+    A larger one is left to a shuffle join; joins without an equality have no such way and refuse it.
+    """
+    plan = ref._jdf.queryExecution().optimizedPlan()
+    leaves = plan.collectLeaves()
+    literal = all(leaves.apply(i).nodeName() == "LocalRelation" for i in range(leaves.size()))
+    known = literal and "Generate" not in plan.toString() and int(str(plan.stats().sizeInBytes())) <= SMALL_BYTES
+    if known or ref.limit(most + 1).count() <= most:
+        return F.broadcast(ref)
+    if not equi:
+        raise ValueError(f"a reference table of more than {most} rows has no join without an equality")
+    return ref
+
+
+def literal(ref: DataFrame, most: int = MOST_LITERAL) -> DataFrame:
+    """A reference table of integers and strings as a literal table of the plan, made once; one beyond `most` rows is written down instead."""
+    rows = ref.limit(most + 1).collect()
+    return cut(ref) if len(rows) > most else inline_table(ref.sparkSession, [tuple(r) for r in rows], ", ".join(f"{n} {t}" for n, t in ref.dtypes))
 
 
 def lcsubstr_len(left: DataFrame, right: DataFrame, q: int, a: str = "a", b: str = "b") -> DataFrame:
@@ -49,6 +70,6 @@ def whole_keyword(values: DataFrame, keywords: DataFrame, mode: str = "word") ->
     if mode == "equal":
         return values.join(checked_broadcast(keywords), F.col("value") == F.col("keyword")).select("value", "keyword").distinct()
     if mode == "substring":
-        return values.join(checked_broadcast(keywords), F.col("value").contains(F.col("keyword"))).select("value", "keyword").distinct()
+        return values.join(checked_broadcast(keywords, equi=False), F.col("value").contains(F.col("keyword"))).select("value", "keyword").distinct()
     words = values.select("value", F.explode(F.array_distinct(F.split("value", "[^\\p{L}\\p{N}]+"))).alias("keyword"))
     return words.join(checked_broadcast(keywords), "keyword").select("value", "keyword").distinct()

@@ -5,6 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.portable import stream
+from ..functions.text import checked_broadcast
+
 #: Description pattern -> class, in order; a code that the catalogue knows comes first.
 PATTERNS = (("^(red|hot) .*widget", "red widget"), ("plate$", "plate"), ("anvil", "anvil"), ("gizmo( study)?$", "gizmo"), ("bolt", "bolt"), ("ring", "ring"))
 
@@ -16,7 +19,7 @@ def importer_case(kind: str) -> str:
 
 
 def importer_standin(study: DataFrame, code_ref: DataFrame) -> DataFrame:
-    x = study.join(F.broadcast(code_ref), F.col("procedure_code") == F.col("code"), "left")
+    x = study.join(checked_broadcast(code_ref), F.col("procedure_code") == F.col("code"), "left")
     label = F.when(F.col("label").isNotNull(), F.col("label"))
     for pattern, name in PATTERNS:
         label = label.when(F.lower("description").rlike(pattern), name)
@@ -28,6 +31,14 @@ def majority_class(study: DataFrame) -> DataFrame:
     return study.select("study_id").join(F.broadcast(top), F.lit(True))
 
 
+def random_guess(study: DataFrame, class_ref: DataFrame, salt: int = 71) -> DataFrame:
+    """Every study gets one of the leaf classes by a portable draw on its identifier."""
+    leaves = class_ref.where("parent is not null")
+    names = leaves.agg(F.transform(F.array_sort(F.collect_list(F.struct("class_id", "label"))), lambda c: c["label"]).alias("_names"))  # one row
+    draw = F.expr(f"cast({stream('study_id', salt)} % size(_names) as int)")
+    return study.select("study_id").join(F.broadcast(names), F.lit(True)).select("study_id", F.get("_names", draw).alias("label"))
+
+
 def external_decisions(decisions: DataFrame) -> DataFrame:
     """Any (study_id, label) table of a black box as predictions; its layer is 1."""
     return decisions.select("study_id", "label", F.lit(1).alias("layer")).where("label is not null")

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.text import checked_broadcast
+
 T_FOUR = 2.7764451051977987  # 97.5 % point of Student's t with four degrees of freedom
 
 
@@ -12,10 +14,15 @@ def grade(study: DataFrame, prediction: DataFrame, minor_pair: DataFrame) -> Dat
     """(study_id, label, layer, grade) for every study: right if any truth label is the prediction, else minor if any (truth, prediction) pair is listed, else major."""
     layer = ["layer"] if "layer" in prediction.columns else []
     x = study.select("study_id", "truth").join(prediction.select("study_id", "label", *layer), "study_id", "left")
-    minors = F.broadcast(minor_pair.groupBy("pred").agg(F.collect_set("truth").alias("_general_for")))
+    return graded(x, minor_pair).select("study_id", "label", *layer, "grade")
+
+
+def graded(x: DataFrame, minor_pair: DataFrame) -> DataFrame:
+    """Rows with `truth` and `label` gain `grade`."""
+    minors = checked_broadcast(minor_pair.groupBy("pred").agg(F.collect_set("truth").alias("_general_for")))
     x = x.join(minors, F.col("label") == F.col("pred"), "left")
     g = F.when(F.col("label").isNull(), "unanswered").when(F.coalesce(F.array_contains("truth", F.col("label")), F.lit(False)), "right").when(F.coalesce(F.arrays_overlap("truth", "_general_for"), F.lit(False)), "minor").otherwise("major")
-    return x.select("study_id", "label", *layer, g.alias("grade"))
+    return x.withColumn("grade", g).drop("pred", "_general_for")
 
 
 def measures(graded: DataFrame, by=()) -> DataFrame:
@@ -44,7 +51,7 @@ def contribution(study: DataFrame, with_net: DataFrame, without_net: DataFrame)
 
 def related_errors(graded: DataFrame, study: DataFrame, classes: DataFrame, by: str = "layer") -> DataFrame:
     """Among wrong answers, the share whose class has the same parent as a truth label."""
-    parents = F.broadcast(classes.select("label", "parent"))
+    parents = checked_broadcast(classes.select("label", "parent"))
     wrong = graded.where("grade = 'major'").join(parents, "label").join(study.select("study_id", F.explode("truth").alias("t")), "study_id")
     wrong = wrong.join(parents.select(F.col("label").alias("t"), F.col("parent").alias("tp")), "t")
     one = wrong.groupBy("study_id", by).agg(F.max((F.col("parent") == F.col("tp")).cast("int")).alias("rel"))

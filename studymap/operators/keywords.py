@@ -6,14 +6,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from ..functions.text import lcsubstr_len
+from ..functions.text import checked_broadcast, lcsubstr_len
 
 
 def conflicts(keyword_ref: DataFrame, min_len: int = 6) -> DataFrame:
     """(a, b, len): keywords of different classes that share a substring long enough to match."""
     kw = keyword_ref.where(F.length("keyword") >= min_len)
     pairs = lcsubstr_len(kw.select("keyword", F.col("keyword").alias("t")), kw.select("keyword", F.col("keyword").alias("t")), min_len, "a", "b").where("a < b")
-    la, lb = (F.broadcast(kw.select(F.col("keyword").alias(n), F.col("label").alias(f"l{n}"))) for n in "ab")
+    la, lb = (checked_broadcast(kw.select(F.col("keyword").alias(n), F.col("label").alias(f"l{n}"))) for n in "ab")
     return pairs.join(la, "a").join(lb, "b").where("la <> lb").select("a", "b", "len").distinct()
 
 

@@ -16,19 +16,36 @@ def route(series: DataFrame, route_ref: DataFrame) -> DataFrame:
     return series.join(checked_broadcast(route_ref.where("votes").select("modality", "network")), "modality")
 
 
-def votes(scores: DataFrame) -> DataFrame:
-    """(study_id, series_no, label, confidence_u) -> votes weighted by confidence."""
-    return scores.select("study_id", "label", F.col("confidence_u").cast("long").alias("weight_u"), F.lit("network").alias("origin"), "series_no")
+def votes(scores: DataFrame, weight: str = "confidence") -> DataFrame:
+    """(study_id, series_no, label, confidence_u) -> votes weighted by confidence, or by its log-odds (confidences held within 0.001 and 0.999)."""
+    w = F.col("confidence_u").cast("long")
+    if weight == "log_odds":
+        c = F.greatest(F.least(F.col("confidence_u"), F.lit(999_000)), F.lit(1000)) / 1e6
+        w = F.round(1_000_000 * F.log(c / (1 - c))).cast("long")
+    return scores.select("study_id", "label", w.alias("weight_u"), F.lit("network").alias("origin"), "series_no")
+
+
+def centroid_head(features: DataFrame, label: str = "label") -> list[list[float]]:
+    """The last layer of a network with frozen features x: one row of weights per class, the mean of its training features. Classes x dimensions numbers reach the driver."""
+    cells = features.select(F.col(label).alias("_y"), F.posexplode("x").alias("_at", "_v")).groupBy("_y", "_at").agg(F.avg("_v").alias("_m"))
+    rows = cells.groupBy("_y").agg(F.transform(F.array_sort(F.collect_list(F.struct("_at", "_m"))), lambda s: s["_m"]).alias("w")).orderBy("_y").collect()
+    return [list(r["w"]) for r in rows]
+
+
+def infer(features: DataFrame, head: list[list[float]]) -> DataFrame:
+    """Adds logits: the product of each class's weights with x."""
+    products = [F.aggregate(F.zip_with("x", F.array(*map(F.lit, w)), lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v) for w in head]
+    return features.withColumn("logits", F.array(*products))
 
 
 def votes_from_logits(scored: DataFrame, classes: DataFrame, temperatures: DataFrame) -> DataFrame:
     """(study_id, series_no, network, logits) -> votes: arg-max class (lowest on ties) with its tempered confidence."""
     from .calibrate import confidence
 
-    x = scored.join(F.broadcast(temperatures.select("network", "temperature")), "network")
+    x = scored.join(checked_broadcast(temperatures.select("network", "temperature")), "network")
     top = (F.array_position("logits", F.array_max("logits")) - 1).cast("int")
     x = x.withColumns({"class_id": top, "weight_u": F.round(confidence(F.col("logits"), F.col("temperature")) * 1_000_000).cast("long")})
-    return x.join(F.broadcast(classes.select("class_id", "label")), "class_id").select("study_id", "label", "weight_u", F.lit("network").alias("origin"), "series_no")
+    return x.join(checked_broadcast(classes.select("class_id", "label")), "class_id").select("study_id", "label", "weight_u", F.lit("network").alias("origin"), "series_no")
 
 
 def select_best(cv: DataFrame) -> DataFrame:

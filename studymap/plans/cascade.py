@@ -15,17 +15,27 @@ from ..functions.lineage import cut
 from ..operators import layers, network, rules, votes
 
 
-@dataclass(frozen=True)
 class Corpus:
-    study: DataFrame
-    series: DataFrame
-    network_scores: DataFrame
-    class_ref: DataFrame
-    code_ref: DataFrame
-    desc_ref: DataFrame
-    keyword_ref: DataFrame
-    rule_ref: DataFrame | None = None
-    keys: tuple = ("brand", "flag", "name", "pack")
+    """The tables that a cascade reads, by name; a part given as a function is made when it is first asked for, once.
+
+    study, series, class_ref, code_ref, desc_ref, keyword_ref, rule_ref (or None), keys (tags that vote), and what the networks say: either network_scores
+    (study_id, series_no, label, confidence_u), or logits (study_id, series_no, network, logits) with route_ref (modality, network, votes), temperatures
+    (network, temperature) and net_classes (class_id, label).
+    """
+
+    def __init__(self, **parts):
+        self._parts = {"rule_ref": None, "keys": ("brand", "flag", "name", "pack"), "logits": None} | parts
+
+    def __getattr__(self, name):
+        parts = self.__dict__.get("_parts", {})
+        if name not in parts:
+            raise AttributeError(name)
+        if callable(parts[name]):
+            parts[name] = parts[name]()
+        return parts[name]
+
+    def but(self, **other) -> Corpus:
+        return Corpus(**(self._parts | other))
 
 
 @dataclass(frozen=True)
@@ -45,8 +55,12 @@ def meta_ballot(c: Corpus, open_: DataFrame | None, cfg: Config) -> DataFrame:
 
 
 def net_ballot(c: Corpus, open_: DataFrame | None, cfg: Config) -> DataFrame:
-    scores = c.network_scores if open_ is None else c.network_scores.join(open_.select("study_id"), "study_id", "left_semi")
-    return network.votes(scores)
+    """Votes of the networks on the series of the studies still open: given scores, or logits routed by modality and tempered."""
+    if c.logits is None:
+        return network.votes(c.network_scores if open_ is None else c.network_scores.join(open_.select("study_id"), "study_id", "left_semi"))
+    series = c.series if open_ is None else c.series.join(open_.select("study_id"), "study_id", "left_semi")
+    routed = network.route(series.select("study_id", "series_no", "modality"), c.route_ref)
+    return network.votes_from_logits(routed.join(c.logits, ["study_id", "series_no", "network"]), c.net_classes, c.temperatures)
 
 
 def _ruled(c: Corpus, v: DataFrame, series: DataFrame, cfg: Config) -> DataFrame:
@@ -67,14 +81,27 @@ def layer_functions(c: Corpus, cfg: Config) -> dict[int, Callable[[DataFrame], D
 
 
 def classify(c: Corpus, cfg: Config = Config()) -> DataFrame:
-    """(study_id, label, layer) of the studies that some layer decides."""
+    """(study_id, label, layer) of the studies that some layer decides. Neighbouring exact layers are one pass; what a dearer layer decides is written down before the next reads the rest."""
     functions = layer_functions(c, cfg)
     open_ = c.study.select("study_id", "procedure_code", "description")
-    decided = None
-    for i, n in enumerate(cfg.order):
+    decided, order = None, list(cfg.order)
+
+    def gained(got):
+        return got if decided is None else decided.unionByName(got)
+
+    while order:
+        exact = []
+        while order and order[0] in (1, 2) and order[0] not in cfg.extra:
+            exact.append(order.pop(0))
+        if len(exact) > 1:
+            state = cut(layers.match_exact(open_, c.code_ref, c.desc_ref, exact))
+            decided = gained(state.where("label is not null").select("study_id", "label", "layer"))
+            open_ = state.where("label is null").drop("label", "layer")
+            continue
+        n = exact[0] if exact else order.pop(0)
         got = cut(functions[n](open_).select("study_id", "label", F.lit(n).alias("layer")))
-        decided = got if decided is None else decided.unionByName(got)
-        if i + 1 < len(cfg.order):
+        decided = gained(got)
+        if order:
             open_ = open_.join(got, "study_id", "left_anti")
     return decided
 

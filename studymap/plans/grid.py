@@ -31,10 +31,12 @@ def layer_table(c: Corpus, cfg: Config = Config()) -> DataFrame:
         one = v.withColumn("weight_u", F.lit(MICRO).cast("long"))
         heads = one if heads is None else heads.unionByName(one)
     ballots = {"l4": meta, "l4_min": meta_min, "l5": net, "h1": meta.unionByName(net), "h1_min": meta_min.unionByName(net), "h2": heads.unionByName(meta).unionByName(net)}
-    wide = c.study.select("study_id")
+    every = None
     for name, x in (header | {k: votes.decide(b, cfg.majority) for k, b in ballots.items()}).items():
-        wide = wide.join(x.select("study_id", F.col("label").alias(name)), "study_id", "left")
-    return cut(wide)
+        one = x.select("study_id", F.lit(name).alias("_name"), "label")
+        every = one if every is None else every.unionByName(one)
+    wide = every.groupBy("study_id").agg(*(F.max(F.when(F.col("_name") == n, F.col("label"))).alias(n) for n in PLACE))
+    return cut(c.study.select("study_id").join(wide, "study_id", "left"))
 
 
 def outcomes(wide: DataFrame, variant: str) -> DataFrame:
@@ -42,3 +44,14 @@ def outcomes(wide: DataFrame, variant: str) -> DataFrame:
     order = ORDERS[variant]
     layer = F.coalesce(*(F.when(F.col(n).isNotNull(), F.lit(PLACE[n])) for n in order))
     return wide.select("study_id", F.coalesce(*order).alias("label"), layer.alias("layer")).where("label is not null")
+
+
+def all_outcomes(wide: DataFrame, beside: dict | None = None) -> DataFrame:
+    """The wide table's rows once for each variant, with `variant`, `label` and `layer` (null where unanswered). `beside`: further variants, name -> (label column, layer)."""
+    cells = []
+    for name, order in ORDERS.items():
+        layer = F.coalesce(*(F.when(F.col(n).isNotNull(), F.lit(PLACE[n])) for n in order))
+        cells.append(F.struct(F.lit(name).alias("variant"), F.coalesce(*order).alias("label"), layer.alias("layer")))
+    for name, (column, place) in (beside or {}).items():
+        cells.append(F.struct(F.lit(name).alias("variant"), F.col(column).alias("label"), F.when(F.col(column).isNotNull(), F.lit(place)).alias("layer")))
+    return wide.withColumn("_v", F.explode(F.array(*cells))).select(*wide.columns, "_v.variant", "_v.label", "_v.layer")

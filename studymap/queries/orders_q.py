@@ -6,9 +6,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import text
-from ..operators import baselines, evaluate, keywords, layers, network, rules, votes
+from ..functions.lineage import cut
+from ..operators import baselines, evaluate, keywords, layers, network, rules, sampling, votes
 from ..plans import cascade, variants
-from ..plans.grid import layer_table, outcomes
+from ..plans.grid import all_outcomes, layer_table, outcomes
+from ..functions.portable import inline_table, stream
 from ..sources import orders as W1
 from . import query, table
 
@@ -81,9 +83,21 @@ def sql(select: str) -> str:
 
 
 def corpus(spark, sf_dir, ruled: bool = True) -> cascade.Corpus:
+    """The corpus, each of its tables made once, when it is first read."""
+    held = {}
+
+    def once(name, make, hold=cut):
+        if name not in held:
+            held[name] = hold(make())
+        return held[name]
+
+    items = lambda: once("items", lambda: W1.lines(spark, sf_dir))
+    classes = lambda: once("classes", lambda: W1.class_ref(spark, sf_dir), text.literal)
+    study = lambda: once("study", lambda: W1.study(spark, sf_dir, items()))
     return cascade.Corpus(
-        W1.study(spark, sf_dir), W1.series(spark, sf_dir), W1.network_scores(spark, sf_dir), W1.class_ref(spark, sf_dir), W1.code_ref(spark, sf_dir), W1.desc_ref(spark, sf_dir),
-        W1.keyword_ref(spark, sf_dir), rules.rule_table(spark, RULES) if ruled else None,
+        study=study, series=lambda: W1.series(spark, sf_dir, items()), network_scores=lambda: W1.network_scores(spark, sf_dir, items(), study()),
+        class_ref=classes, code_ref=lambda: W1.code_ref(spark, sf_dir, classes()), desc_ref=lambda: W1.desc_ref(spark, sf_dir, classes()), keyword_ref=lambda: W1.keyword_ref(spark, sf_dir, classes()),
+        rule_ref=(lambda: rules.rule_table(spark, RULES)) if ruled else None,
     )
 
 
@@ -151,8 +165,13 @@ of_corpus("m_majority_absolute", "SELECT study_id, label, weight_u FROM l4_raw J
 of_corpus("m_network_votes", "SELECT study_id, series_no, label, confidence_u AS weight_u FROM net")(lambda c: network.votes(c.network_scores).select("study_id", "series_no", "label", "weight_u"))
 
 
+of_corpus("w1c_log_odds", "SELECT study_id, min(label) AS label, min(w) AS weight_u FROM (SELECT *, max(w) OVER (PARTITION BY study_id) AS top FROM (SELECT study_id, label, sum(round(1000000 * ln(c / (1 - c)))::BIGINT)::BIGINT AS w FROM (SELECT study_id, label, least(greatest(confidence_u, 1000), 999000) / 1000000.0::DOUBLE AS c FROM net) GROUP BY study_id, label)) WHERE w = top AND w > 0 GROUP BY study_id HAVING count(*) = 1")(
+    lambda c: votes.decide(network.votes(c.network_scores, weight="log_odds")).select("study_id", "label", "weight_u")
+)
+
+
 def _routes(spark):
-    return spark.createDataFrame([(m, "dense" if m != "ECONOMY" else "residual", True) for m in W1.ACCURACY] + [(W1.SILENT, None, False)], "modality string, network string, votes boolean")
+    return inline_table(spark, [(m, "dense" if m != "ECONOMY" else "residual", True) for m in W1.ACCURACY] + [(W1.SILENT, None, False)], "modality string, network string, votes boolean")
 
 
 @query("m_route", sql("SELECT study_id, series_no, modality, CASE WHEN modality = 'ECONOMY' THEN 'residual' ELSE 'dense' END AS network FROM lines WHERE modality <> 'PROMO'"))
@@ -172,6 +191,9 @@ of_corpus("m_minvr_l5", "SELECT study_id, label, layer FROM v_network_l5_minvr"
 of_corpus("b_network_only", "SELECT study_id, label, layer FROM v_network_only" + _ANSWERED)(lambda c: variants.network_only(c))
 of_corpus("b_importer_standin", "SELECT study_id, label FROM v_importer" + _ANSWERED)(lambda c: baselines.importer_standin(c.study, c.code_ref))
 of_corpus("b_majority_class", "SELECT study_id, (SELECT first FROM study WHERE first IS NOT NULL GROUP BY first ORDER BY count(*) DESC, first LIMIT 1) AS label FROM study")(lambda c: baselines.majority_class(c.study))
+of_corpus("b_random_guess", f"SELECT study_id, (SELECT list(label ORDER BY class_id) FROM class_ref WHERE parent IS NOT NULL)[({stream('study_id', 71)} % (SELECT count(*) FROM class_ref WHERE parent IS NOT NULL)) + 1] AS label FROM study")(
+    lambda c: baselines.random_guess(c.study, c.class_ref)
+)
 of_corpus("m_levenshtein", f"SELECT study_id, min(label) AS label, min(d)::INT AS score FROM (SELECT *, min(d) OVER (PARTITION BY study_id) AS top FROM (SELECT study_id, label, levenshtein({NORM.format('description')}, keyword) AS d FROM study JOIN keyword_ref ON levenshtein({NORM.format('description')}, keyword) <= 2)) WHERE d = top GROUP BY study_id HAVING count(DISTINCT label) = 1")(
     lambda c: layers.match_fuzzy(c.study, c.keyword_ref, 2)
 )
@@ -192,7 +214,7 @@ of_corpus("m_review_queue", "SELECT s.study_id, p.label, b.lead FROM study s LEF
     lambda c: cascade.review_queue(c.study, votes.ballot(network.votes(c.network_scores)), variants.network_only(c), 200_000)
 )
 of_corpus("m_auto_label", "SELECT l.study_id, series_no, first AS label FROM lines l JOIN truth_t USING (study_id)")(
-    lambda c: __import__("studymap.operators.sampling", fromlist=["x"]).label_by_container(c.series, c.study.where("first is not null").select("study_id", F.col("first").alias("label"))).select("study_id", "series_no", "label")
+    lambda c: sampling.label_by_container(c.series, c.study.where("first is not null").select("study_id", F.col("first").alias("label"))).select("study_id", "series_no", "label")
 )
 
 
@@ -201,14 +223,10 @@ def _pairs(c) -> DataFrame:
 
 
 def all_graded(c) -> DataFrame:
-    """(variant, study_id, label, layer, grade) of every variant: each layer is computed once and the orders are permuted over one wide table."""
-    wide = layer_table(c)
-    out = None
-    for name in VARIANTS:
-        p = baselines.importer_standin(c.study, c.code_ref).withColumn("layer", F.lit(1)) if name == "importer" else outcomes(wide, name)
-        g = evaluate.grade(c.study, p, _pairs(c)).withColumn("variant", F.lit(name))
-        out = g if out is None else out.unionByName(g)
-    return out
+    """(variant, study_id, label, layer, grade) of every variant: each layer is computed once, the orders are permuted over one wide table, all variants are graded in one pass."""
+    wide = layer_table(c).join(baselines.importer_standin(c.study, c.code_ref).withColumnRenamed("label", "importer"), "study_id", "left")
+    x = all_outcomes(wide.join(c.study.select("study_id", "truth"), "study_id"), {"importer": ("importer", 1)})
+    return evaluate.graded(x, _pairs(c)).select("variant", "study_id", "label", "layer", "grade")
 
 
 _COUNTS = "count(*) AS studies, count_if(grade = 'right') AS \"right\", count_if(grade = 'minor') AS minor, count_if(grade = 'major') AS major, count_if(grade = 'unanswered') AS unanswered"
@@ -275,17 +293,35 @@ def a_published_counts(spark, sf_dir):
     return evaluate.with_rates(x).select("variant", "predictive_power", "accuracy", "minor_rate", "minor_share", "major_rate")
 
 
-@query("w9_geography", "SELECT r_name AS prediction, count(*) AS n, count_if(r_name = r_name) AS minor FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY 1")
+@query("w9_geography", """
+WITH said AS (SELECT c_custkey, n_name AS truth, CASE WHEN c_custkey % 5 < 2 THEN r_name WHEN c_custkey % 5 = 2 THEN n_name WHEN c_custkey % 5 = 3 THEN (SELECT min(r_name) FROM region) END AS label FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey),
+general AS (SELECT n_name AS truth, r_name AS pred FROM nation JOIN region ON n_regionkey = r_regionkey),
+g AS (SELECT CASE WHEN label IS NULL THEN 'unanswered' WHEN label = said.truth THEN 'right' WHEN general.pred IS NOT NULL THEN 'minor' ELSE 'major' END AS grade FROM said LEFT JOIN general ON general.truth = said.truth AND general.pred = label)
+SELECT grade, count(*) AS n FROM g GROUP BY grade""")
 def w9_geography(spark, sf_dir):
-    """Truth is a customer's nation, the prediction its region: all answers are too general, none is wrong."""
+    """Truth is a customer's nation. Two fifths of the answers are its region (too general), a fifth the nation itself, a fifth one region for all (mostly wrong), a fifth none."""
     nation, region = table(spark, sf_dir, "nation"), table(spark, sf_dir, "region")
     pairs = nation.join(F.broadcast(region), F.col("n_regionkey") == F.col("r_regionkey")).select(F.col("n_nationkey").alias("k"), F.col("n_name").alias("truth"), F.col("r_name").alias("pred"))
-    x = table(spark, sf_dir, "customer").join(F.broadcast(pairs), F.col("c_nationkey") == F.col("k"))
-    graded_ = evaluate.grade(x.select(F.col("c_custkey").alias("study_id"), F.array("truth").alias("truth")), x.select(F.col("c_custkey").alias("study_id"), F.col("pred").alias("label")), pairs.select("truth", "pred"))
-    return graded_.groupBy(F.col("label").alias("prediction")).agg(F.count(F.lit(1)).alias("n"), F.count_if(F.col("grade") == "minor").alias("minor"))
+    x = table(spark, sf_dir, "customer").join(F.broadcast(pairs), F.col("c_nationkey") == F.col("k")).join(F.broadcast(region.agg(F.min("r_name").alias("one"))), F.lit(True))
+    fifth = F.col("c_custkey") % 5
+    said = F.when(fifth < 2, F.col("pred")).when(fifth == 2, F.col("truth")).when(fifth == 3, F.col("one"))
+    answers = x.select(F.col("c_custkey").alias("study_id"), F.array("truth").alias("truth"), said.alias("label"))
+    return evaluate.graded(answers, pairs.select("truth", "pred")).groupBy("grade").agg(F.count(F.lit(1)).alias("n"))
+
+
+def _w10_sql() -> str:
+    words = "(SELECT keyword, label FROM keyword_ref UNION ALL SELECT a || ' study', a || ' any' FROM (SELECT DISTINCT split_part(label, ' ', 1) AS a FROM class_ref WHERE parent IS NOT NULL ORDER BY a LIMIT {n}))"
+    one = (
+        "SELECT {n}::INT AS decoys, count(*) AS answered, count_if(p.label = first) AS \"right\" FROM study s JOIN (SELECT value, min(label) AS label FROM (SELECT *, max(score) OVER (PARTITION BY value) AS top FROM "
+        "(SELECT value, w.label, max(k) AS score FROM (SELECT DISTINCT " + NORM.format("description") + " AS value FROM study WHERE first IS NOT NULL) v JOIN " + words + " w ON true, unnest(range(1, length(w.keyword) - 4)) AS u(i), unnest(range(6, length(w.keyword) + 1)) AS l(k) "
+        "WHERE length(w.keyword) >= 6 AND i + k - 1 <= length(w.keyword) AND contains(value, substr(w.keyword, i, k)) GROUP BY value, w.label "
+        "UNION ALL SELECT value, w.label, length(w.keyword) FROM (SELECT DISTINCT " + NORM.format("description") + " AS value FROM study WHERE first IS NOT NULL) v JOIN " + words + " w ON length(w.keyword) IN (4, 5) AND list_contains(string_split_regex(value, '[^a-z0-9]+'), w.keyword))) "
+        "WHERE score = top GROUP BY value HAVING count(DISTINCT label) = 1) p ON p.value = " + NORM.format("s.description") + " WHERE first IS NOT NULL"
+    )
+    return sql(" UNION ALL ".join(one.format(n=n) for n in (0, 2, 4, 8)))
 
 
-@query("w10_overload", None)
+@query("w10_overload", _w10_sql())
 def w10_overload(spark, sf_dir):
     """Decoy keywords against accuracy of the partial layer: (decoys, answered, right)."""
     c = corpus(spark, sf_dir)

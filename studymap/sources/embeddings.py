@@ -5,12 +5,12 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..operators import network
+
 
 def scored(spark: SparkSession, sf_dir: str, scales=(20, 60)) -> DataFrame:
     """(row_id, network, truth_idx, logits). The centroids (classes x dimensions) are the only numbers that reach the driver."""
-    emb = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select("vec_id", "label", F.col("embedding").cast("array<double>").alias("e"))
-    cells = emb.where("vec_id % 10 < 8").select("label", F.posexplode("e").alias("pos", "v")).groupBy("label", "pos").agg(F.avg("v").alias("m"))
-    rows = cells.groupBy("label").agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "m"))), lambda s: s["m"]).alias("c")).orderBy("label").collect()
-    products = [F.aggregate(F.zip_with("e", F.array(*map(F.lit, r["c"])), lambda a, b: a * b), F.lit(0.0), lambda s, v: s + v) for r in rows]
-    x = emb.where("vec_id % 10 >= 8").withColumn("z", F.array(*products)).withColumn("s", F.explode(F.array(*map(F.lit, scales))))
-    return x.select(F.col("vec_id").alias("row_id"), F.concat(F.lit("x"), "s").alias("network"), F.col("label").alias("truth_idx"), F.transform("z", lambda v: F.round(F.col("s") * v, 9)).alias("logits"))
+    emb = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select("vec_id", "label", F.col("embedding").cast("array<double>").alias("x"))
+    head = network.centroid_head(emb.where("vec_id % 10 < 8"))
+    x = network.infer(emb.where("vec_id % 10 >= 8"), head).withColumn("s", F.explode(F.array(*map(F.lit, scales))))
+    return x.select(F.col("vec_id").alias("row_id"), F.concat(F.lit("x"), "s").alias("network"), F.col("label").alias("truth_idx"), F.transform("logits", lambda v: F.round(F.col("s") * v, 9)).alias("logits"))

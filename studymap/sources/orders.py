@@ -33,17 +33,21 @@ def class_ref(spark: SparkSession, sf_dir: str) -> DataFrame:
     return leaves.unionByName(nouns)
 
 
-def code_ref(spark, sf_dir) -> DataFrame:
-    return class_ref(spark, sf_dir).where("parent is not null").select(F.concat(F.lit("C"), F.lpad(F.col("class_id").cast("string"), 3, "0")).alias("code"), "label")
+def _classes(spark, sf_dir, classes: DataFrame | None) -> DataFrame:
+    return class_ref(spark, sf_dir) if classes is None else classes
 
 
-def desc_ref(spark, sf_dir) -> DataFrame:
-    return class_ref(spark, sf_dir).where("parent is not null").select(F.col("label").alias("description"), "label")
+def code_ref(spark, sf_dir, classes: DataFrame | None = None) -> DataFrame:
+    return _classes(spark, sf_dir, classes).where("parent is not null").select(F.concat(F.lit("C"), F.lpad(F.col("class_id").cast("string"), 3, "0")).alias("code"), "label")
 
 
-def keyword_ref(spark, sf_dir) -> DataFrame:
+def desc_ref(spark, sf_dir, classes: DataFrame | None = None) -> DataFrame:
+    return _classes(spark, sf_dir, classes).where("parent is not null").select(F.col("label").alias("description"), "label")
+
+
+def keyword_ref(spark, sf_dir, classes: DataFrame | None = None) -> DataFrame:
     """Keywords of fewer than four characters are refused by the catalogue."""
-    return class_ref(spark, sf_dir).where(F.length("label") >= 4).select(F.col("label").alias("keyword"), "label")
+    return _classes(spark, sf_dir, classes).where(F.length("label") >= 4).select(F.col("label").alias("keyword"), "label")
 
 
 def minor_pair(spark, sf_dir) -> DataFrame:
@@ -60,15 +64,20 @@ def lines(spark, sf_dir) -> DataFrame:
     )
 
 
-def series(spark, sf_dir) -> DataFrame:
+def _items(spark, sf_dir, items: DataFrame | None) -> DataFrame:
+    """Lines that the caller holds already, or lines anew."""
+    return lines(spark, sf_dir) if items is None else items
+
+
+def series(spark, sf_dir, items: DataFrame | None = None) -> DataFrame:
     """(study_id, series_no, modality, descriptor, nz, tags). Tags are a map: a series carries what its maker filled in."""
     tags = F.create_map(F.lit("name"), "name", F.lit("brand"), "brand", F.lit("pack"), "modality", F.lit("flag"), "flag")
-    return lines(spark, sf_dir).select("study_id", "series_no", "modality", F.col("modality").alias("descriptor"), "nz", tags.alias("tags"))
+    return _items(spark, sf_dir, items).select("study_id", "series_no", "modality", F.col("modality").alias("descriptor"), "nz", tags.alias("tags"))
 
 
-def truth(spark, sf_dir) -> DataFrame:
+def truth(spark, sf_dir, items: DataFrame | None = None) -> DataFrame:
     """(study_id, truth, first)."""
-    top = lines(spark, sf_dir).withColumn("top", F.max("price").over(W.partitionBy("study_id"))).where("price >= 0.95 * top")
+    top = _items(spark, sf_dir, items).withColumn("top", F.max("price").over(W.partitionBy("study_id"))).where("price >= 0.95 * top")
     return top.groupBy("study_id").agg(F.array_sort(F.collect_set("name")).alias("truth"), F.min(F.when(F.col("price") == F.col("top"), F.col("name"))).alias("first"))
 
 
@@ -81,12 +90,12 @@ def _planted(first_id: str, known: str, key: str) -> tuple[str, str]:
     return code, desc
 
 
-def study(spark, sf_dir) -> DataFrame:
+def study(spark, sf_dir, items: DataFrame | None = None) -> DataFrame:
     """(study_id, procedure_code, description, arrived, truth, first): one row per order; orders without lines have no truth and no code."""
     orders = table(spark, sf_dir, "orders")
-    packs = lines(spark, sf_dir).where("series_no = 1").select("study_id", F.col("modality").alias("pack"))
+    packs = _items(spark, sf_dir, items).where("series_no = 1").select("study_id", F.col("modality").alias("pack"))
     x = orders.select(F.col("o_orderkey").alias("study_id"), F.col("o_orderdate").alias("arrived"), F.col("o_orderpriority").alias("priority"))
-    x = x.join(truth(spark, sf_dir), "study_id", "left").join(packs, "study_id", "left")
+    x = x.join(truth(spark, sf_dir, items), "study_id", "left").join(packs, "study_id", "left")
     x = x.join(F.broadcast(class_ref(spark, sf_dir).select(F.col("label").alias("first"), "class_id")), "first", "left")
     x = x.withColumn("noun", F.split("first", " ")[1])
     code, desc = _planted("class_id", "(first IS NOT NULL)", "study_id")
@@ -101,13 +110,13 @@ def _net_class(key: str, spark: bool) -> str:
     return f"CASE WHEN hit = 1 THEN class_id WHEN ({w}) % 2 = 0 THEN {same_noun} ELSE {any_noun} END"
 
 
-def network_scores(spark, sf_dir) -> DataFrame:
+def network_scores(spark, sf_dir, items: DataFrame | None = None, truths: DataFrame | None = None) -> DataFrame:
     """(study_id, series_no, modality, label, confidence_u, hit): what each routed modality's planted network says of a series."""
     ids = class_ref(spark, sf_dir)
-    x = lines(spark, sf_dir).select("study_id", "series_no", "modality").where(F.col("modality") != SILENT)
-    x = x.join(truth(spark, sf_dir).select("study_id", "first"), "study_id")
+    x = _items(spark, sf_dir, items).select("study_id", "series_no", "modality").where(F.col("modality") != SILENT)
+    x = x.join((truth(spark, sf_dir, items) if truths is None else truths).select("study_id", "first").where("first is not null"), "study_id")
     x = x.join(F.broadcast(ids.select(F.col("label").alias("first"), "class_id")), "first")
-    knots = F.create_map(*[c for m, k in KNOTS.items() for c in (F.lit(m), F.array(*(F.lit(v).cast("long") for v in k)))])
+    knots = F.expr("map(" + ", ".join(f"'{m}', array({', '.join(f'{v}L' for v in k)})" for m, k in KNOTS.items()) + ")")
     key = "(study_id * 64 + series_no)"
     x = x.withColumn("knots", knots[F.col("modality")]).withColumn("confidence_u", F.expr(knot_lookup("knots", stream(key, 41), spark=True))).drop("knots")
     x = x.withColumn("hit", F.expr(f"CASE WHEN {stream(key, 42)} * {MICRO} div {P} < confidence_u THEN 1 ELSE 0 END"))

@@ -25,7 +25,7 @@ def plain(v):
         return str(v).replace(" 00:00:00", "")
 
 
-@pytest.mark.parametrize("name", ["m_layer1_code", "m_layer3_partial", "m_rules_conditional", "m_majority", "m_cascade", "m_hybrid_h1", "m_temp_fit_ece", "m_sim_corr", "m_img_mip", "a_tag_error", "g_rollup", "w_islands", "t_session", "w3_page_layers"])
+@pytest.mark.parametrize("name", ["m_layer1_code", "m_layer3_partial", "m_rules_conditional", "m_majority", "m_cascade", "m_hybrid_h1", "m_cascade_calibrated", "m_votes_from_logits", "m_network_infer", "w10_overload", "b_random_guess", "w1c_log_odds", "w9_geography", "m_temp_fit_ece", "m_sim_corr", "m_img_mip", "a_tag_error", "g_rollup", "w_islands", "t_session", "w3_page_layers"])
 def test_query_equals_oracle(spark, small, name):
     q = registry()[name]
     df = q.run(spark, small)
@@ -49,7 +49,7 @@ def test_cascade_equals_grid(spark, small):
 
 def test_network_without_votes_is_no_network(spark, small):
     c = corpus(spark, small)
-    mute = cascade.Corpus(**{**c.__dict__, "network_scores": c.network_scores.limit(0)})
+    mute = c.but(network_scores=c.network_scores.limit(0))
     assert sorted(map(tuple, variants.hybrid_h1(mute).select("study_id", "label").collect())) == sorted(map(tuple, variants.no_network(c).select("study_id", "label").collect()))
 
 
@@ -60,6 +60,31 @@ def test_ablation_shape(spark, small):
     assert rows["network_l5"]["predictive_power"] > rows["no_network"]["predictive_power"]
 
 
+def test_compiled_rules_equal_joined_ones(spark, small):
+    from studymap.operators import rules, votes
+
+    c = corpus(spark, small)
+    v = votes.metadata_votes(c.series, c.keyword_ref, c.keys).join(c.series.select("study_id", "series_no", "modality"), ["study_id", "series_no"])
+    v = v.select("study_id", "label", "weight_u", "origin", "series_no", "modality")
+    for tier in ("full", "min"):
+        assert sorted(map(tuple, rules.apply(v, c.rule_ref, tier).collect())) == sorted(map(tuple, rules.apply(v, c.rule_ref, tier, most=1).collect()))
+
+
+def test_large_references_are_joined_by_shuffle(spark):
+    from studymap.functions import text
+
+    ref = spark.range(50).select(F.concat(F.lit("keyword number "), "id").alias("keyword"))
+    with pytest.raises(ValueError):
+        text.checked_broadcast(ref, most=10, equi=False)
+    assert text.checked_broadcast(ref, most=10) is ref
+
+
+def test_held_tables_are_made_once(spark, small):
+    c = corpus(spark, small)
+    assert c.study is c.study and c.class_ref is c.class_ref
+    assert "LocalTableScan" in plan(c.class_ref)
+
+
 def plan(df):
     out = io.StringIO()
     with redirect_stdout(out):
@@ -69,10 +94,15 @@ def plan(df):
 
 def test_plans(spark, small):
     c = corpus(spark, small)
+    from studymap.functions import text
+    from studymap.functions.lineage import cut
     from studymap.operators import layers, votes
 
     one = plan(layers.match_code(c.study.select("study_id", "procedure_code", "description"), c.code_ref))
     assert "BroadcastHashJoin" in one and "CartesianProduct" not in one
+    x = cut(c.study.select("study_id", text.normalise(F.col("description")).alias("value")).where("value is not null"))
+    partial = plan(layers.best_labels(layers.keyword_scores(x.select("value").distinct(), c.keyword_ref)))
+    assert partial.count("Exchange hashpartitioning") + partial.count("REPARTITION") <= 4 and "CartesianProduct" not in partial and "NestedLoop" not in partial
     ballot = spark.range(100).select((F.col("id") % 7).alias("study_id"), F.lit("a").alias("label"), F.col("id").alias("weight_u"))
     assert plan(votes.decide(ballot)).count("Exchange hashpartitioning") <= 2
     scan = plan(spark.read.parquet(f"{small}/part.parquet").where("p_size >= 40").select("p_partkey"))
