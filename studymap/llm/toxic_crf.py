@@ -5,7 +5,7 @@ hold, by a likelihood-ratio test of presence and by the ratio of the two rates,
 a chain fitted to either half of the training documents judges the other half, and the level with the least loss is taken (the loosest of equal ones).
 Words that are or begin with a lexicon unit are tagged 1 in a toxic document, all others 0. A two-state chain (clean, toxic) with hashed features (a word and its prefixes) and a full transition table is then fitted to those tags by
 gradient ascent on the penalised conditional log-likelihood, whose gradient is observed minus expected counts from forward-backward marginals. The training documents are a bounded
-sample of whole texts (`sample` documents of at most `longest` bytes each, half of each class, chosen by a hash of the identifier), fetched to the driver.
+sample of whole texts (`sample` documents of at most `longest` bytes each, half of each class, chosen by a hash of the identifier), written down; fits are tasks that read all of it.
 
 Scoring covers every word of every text. Marginals come from forward and backward messages over all words of a block of documents at once: products of 2x2 matrices run in
 parallel over strips, then strips are joined. A document's score is a logistic function of its summed marginals, its largest marginal and the summed marginals'
@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import bounded_sample
+from .base import bounded_sample, checkpointed
 
 BITS = 18
 #: Lengths, in characters, of the prefixes that stand beside the word itself as features and as lexicon units.
@@ -273,34 +273,88 @@ def fit_score(x: np.ndarray, toxic: np.ndarray) -> tuple[np.ndarray, float]:
     return head, float((share * np.log1p(np.exp(np.where(toxic, -z, z)))).sum())
 
 
-def fit(docs: list[list[bytes]], toxic: np.ndarray, levels=LEVELS, rounds: int = 40, penalty: float = 1e-4, rate: float = 0.5) -> ToxicModel:
-    toxic = np.asarray(toxic, bool)
-    if not len(toxic) or toxic.all() or not toxic.any():
-        return ToxicModel(np.zeros(1 << BITS), np.zeros((2, 2)), 0.0, None, float(toxic.mean()) if len(toxic) else 0.0)
-    sample, how = Sample(docs), (rounds, penalty, rate)
-    # Halves of each class in turn, so that both hold both classes where there are two of each.
+def halves(toxic: np.ndarray) -> np.ndarray:
+    """One half of each class in turn, so that both halves hold both classes where there are two of each."""
     half = np.zeros(len(toxic), bool)
     for y in (True, False):
         half[np.flatnonzero(toxic == y)[::2]] = True
-    best = None
+    return half
+
+
+def held_features(sample: Sample, toxic: np.ndarray, level, part: bool, how) -> tuple[np.ndarray, np.ndarray]:
+    """Places and document features of one half, as a chain sees them that was fitted to the other."""
+    held = halves(toxic) == part
+    return np.flatnonzero(held), features_of(fit_chain(sample, toxic, ~held, level, *how), sample, held)
+
+
+def chosen_level(by_level: list[np.ndarray], toxic: np.ndarray) -> tuple[int, np.ndarray]:
+    """The level whose document score has the least loss (the loosest of equal ones), with that score's coefficients."""
+    scores = [fit_score(x, toxic) for x in by_level]
+    best = min(range(len(scores)), key=lambda i: (scores[i][1], i))
+    return best, scores[best][0]
+
+
+def _constant(toxic: np.ndarray) -> ToxicModel:
+    return ToxicModel(np.zeros(1 << BITS), np.zeros((2, 2)), 0.0, None, float(toxic.mean()) if len(toxic) else 0.0)
+
+
+HOW = (40, 1e-4, 0.5)  # rounds, penalty, rate
+
+
+def fit(docs: list[list[bytes]], toxic: np.ndarray, levels=LEVELS, how=HOW) -> ToxicModel:
+    """The whole fit in this process; `train` does the same on the executors."""
+    toxic = np.asarray(toxic, bool)
+    if not len(toxic) or toxic.all() or not toxic.any():
+        return _constant(toxic)
+    sample, by_level = Sample(docs), []
     for level in levels:
         x = np.zeros((len(toxic), HEAD))
-        for part in (half, ~half):
-            x[~part] = features_of(fit_chain(sample, toxic, part, level, *how), sample, ~part)
-        head, loss = fit_score(x, toxic)
-        if best is None or loss < best[0]:
-            best = loss, level, head
-    model = fit_chain(sample, toxic, np.ones(len(toxic), bool), best[1], *how)
-    model.head = best[2]
+        for part in (True, False):
+            at, features = held_features(sample, toxic, level, part, how)
+            x[at] = features
+        by_level.append(x)
+    best, head = chosen_level(by_level, toxic)
+    model = fit_chain(sample, toxic, np.ones(len(toxic), bool), levels[best], *how)
+    model.head = head
     return model
 
 
-def train(docs: DataFrame, labels: DataFrame, label: str = "toxic", sample: int = 2400, longest: int = 40_000, trains=None, id_col: str = "doc_id", text_col: str = "text") -> ToxicModel:
-    trains = F.lit(True) if trains is None else trains
-    rows = bounded_sample(docs, labels, label, sample, trains, longest, id_col, text_col)
+def _ordered(pdf: pd.DataFrame) -> tuple[Sample, np.ndarray]:
+    """A sample in a fixed order, whatever the order of its rows."""
+    got = sorted(zip(pdf["_h"], pdf["_text"], pdf["_y"]), key=lambda r: (r[0], r[1] or ""))
+    return Sample([(t or "").encode("utf-8", "replace").lower().split() for _, t, _ in got]), np.array([y == 1 for _, _, y in got])
 
-    got = sorted(rows.collect(), key=lambda r: (r["_h"], r["_text"] or ""))[:sample]
-    return fit([(r["_text"] or "").encode("utf-8", "replace").lower().split() for r in got], np.array([r["_y"] == 1 for r in got]))
+
+def train(docs: DataFrame, labels: DataFrame, label: str = "toxic", sample: int = 2400, longest: int = 40_000, trains=None, id_col: str = "doc_id", text_col: str = "text", levels=LEVELS, how=HOW) -> ToxicModel:
+    """Fits run as tasks, one for each level and half at once, over the written sample of at most `sample` rows; features of documents and one chain come back."""
+    rows = checkpointed(bounded_sample(docs, labels, label, sample, F.lit(True) if trains is None else trains, longest, id_col, text_col))
+    toxic = np.array([r["_y"] == 1 for r in rows.select("_y").collect()], bool)
+    if not len(toxic) or toxic.all() or not toxic.any():
+        return _constant(toxic)
+
+    def candidate(key, pdf):
+        docs_, y = _ordered(pdf)
+        at, x = held_features(docs_, y, levels[key[0]], bool(key[1]), how)
+        return pd.DataFrame({"level": key[0], "at": at, "x": list(x), "y": y[at]})
+
+    cells = F.explode(F.array(*(F.struct(F.lit(i).alias("level"), F.lit(p).alias("part")) for i in range(len(levels)) for p in (0, 1))))
+    each = rows.withColumn("_cell", cells).select("_text", "_y", "_h", "_cell.level", "_cell.part")
+    by_level, y = [np.zeros((len(toxic), HEAD)) for _ in levels], np.zeros(len(toxic), bool)
+    for r in each.groupBy("level", "part").applyInPandas(candidate, "level int, at int, x array<double>, y boolean").collect():  # `sample` rows for each level
+        by_level[r["level"]][r["at"]] = r["x"]
+        y[r["at"]] = r["y"]
+    best, head = chosen_level(by_level, y)
+
+    def whole(pdf):
+        docs_, y_ = _ordered(pdf)
+        m = fit_chain(docs_, y_, np.ones(len(y_), bool), levels[best], *how)
+        cell = np.flatnonzero(m.weights)
+        return pd.DataFrame({"cell": [cell], "weight": [m.weights[cell]], "pair": [m.pair.reshape(-1)], "bias": [m.bias]})
+
+    r = rows.withColumn("_one", F.lit(0)).groupBy("_one").applyInPandas(whole, "cell array<int>, weight array<double>, pair array<double>, bias double").first()
+    weights = np.zeros(1 << BITS)
+    weights[r["cell"]] = r["weight"]
+    return ToxicModel(weights, np.array(r["pair"]).reshape(2, 2), r["bias"], head)
 
 
 def score(docs: DataFrame, model: ToxicModel, spans: bool = False, span_least: float = 0.5, id_col: str = "doc_id", text_col: str = "text", block_words: int = 400_000) -> DataFrame:
