@@ -325,10 +325,14 @@ def test_min_and_max_agree_with_similarity():
     assert abs((one == two).mean() - 0.8) < 0.04
 
 
-def test_components(spark):
+def test_components(spark, monkeypatch):
     links = [(i, i + 1) for i in range(40)] + [(100, 101), (101, 100), (200, 200), (102, 100)]
-    got = dict(map(tuple, components.components(spark.createDataFrame(links, "a long, b long")).collect()))
-    assert got == {**{i: 0 for i in range(41)}, 100: 100, 101: 100, 102: 100}
+    want = {**{i: 0 for i in range(41)}, 100: 100, 101: 100, 102: 100}
+    links = spark.createDataFrame([*links, (None, 7), (3, None)], "a long, b long")
+    for most in (components.MOST_SENT, 0):  # least neighbours broadcast, and joined by salt
+        monkeypatch.setattr(components, "MOST_SENT", most)
+        assert dict(map(tuple, components.components(links).collect())) == want
+    assert components.components(links.limit(0)).count() == 0
 
 
 def test_substrings(spark):
@@ -468,6 +472,37 @@ def test_toxicity(spark):
     assert toxic_crf.score(d, toxic_crf.train(d, l.limit(0))).agg(F.max("score")).first()[0] == 0
 
 
+def test_document_scores_by_brute_force(spark):
+    """The fit on the executors is the fit in one process; a document's score is recomputed from marginals summed over all taggings."""
+    rows, labels = planted(60)
+    d, l = docs(spark, rows), spark.createDataFrame(labels, "doc_id long, quality int, toxic int")
+    model = toxic_crf.train(d, l)
+    sample = sorted(((r["_h"], r["_text"], r["_y"]) for r in toxic_crf.bounded_sample(d, l, "toxic", 2400, F.lit(True), 40_000).collect()))
+    plain = toxic_crf.fit([t.encode().lower().split() for _, t, _ in sample], np.array([y == 1 for _, _, y in sample]))
+    assert np.allclose(model.weights, plain.weights) and np.allclose(model.pair, plain.pair) and np.allclose(model.head, plain.head) and np.isclose(model.bias, plain.bias)
+    texts = [" ".join(t.split()[:k]) for k, (_, t, _) in zip((0, 1, 3, 7, 9), rows)] + ["Vile! foul ol grotzel sonas"]
+    got = {r["doc_id"]: r["score"] for r in toxic_crf.score(docs(spark, [(i, t, "a") for i, t in enumerate(texts)]), model).collect()}
+    odds = model.odds()
+    for i, t in enumerate(texts):
+        w = [odds[x] for x in t.encode().lower().split()]
+        total, part = 0.0, np.zeros(len(w))
+        for y in itertools.product((0, 1), repeat=len(w)):
+            p = np.exp(sum(o for o, s in zip(w, y) if s) + sum(model.pair[a, b] for a, b in zip(y, y[1:])))
+            total += p
+            part += p * np.array(y)
+        m = part / total
+        s = m[m > 0.05].sum()
+        x = [1, np.log1p(s), m.max(), np.log1p(200 * s / (len(w) + 20))] if w else [1, 0, 0, 0]
+        assert abs(got[i] - 1 / (1 + np.exp(-np.dot(x, model.head)))) < 1e-9
+
+
+def test_contradicting_and_repeated_labels_do_not_train(spark):
+    d = docs(spark, [(i, f"text {i}", "a") for i in range(4)] + [(0, "again", "a")])
+    l = spark.createDataFrame([(0, 0, 1), (0, 0, 1), (1, 0, 1), (1, 1, 0), (2, 1, 0), (3, None, None), (None, 1, 1)], "doc_id long, quality int, toxic int")
+    got = toxic_crf.bounded_sample(d, l, "toxic", 100, F.lit(True), 40_000).collect()
+    assert sorted((r["_text"], r["_y"]) for r in got) == [("again", 1), ("text 2", 0)]
+
+
 def test_toxic_minority_vocabulary():
     """As many toxic as clean texts; a tenth of the toxic ones have words of their own, which no log odds of 4 would reach."""
     rng = random.Random(4)
