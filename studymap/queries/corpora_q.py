@@ -2,14 +2,13 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 import pandas as pd
 from pyspark.sql import functions as F
 from pyspark.sql.functions import pandas_udf, udtf
 
-from ..functions.lineage import cut
+from ..functions.lineage import cut, fresh_path
 from ..functions.portable import permille, stream
 from ..operators import layers, votes
 from ..sources import orders, texts
@@ -143,7 +142,9 @@ query("t_sliding", "SELECT start, count(*) AS n FROM (SELECT unnest([date_trunc(
 )
 query("t_modes", "SELECT event_type, count(*) AS n FROM events GROUP BY 1")(lambda spark, sf_dir: windows.drain(windows.events_stream(spark, sf_dir).groupBy("event_type").agg(F.count(F.lit(1)).alias("n")), "complete"))
 query("t_dedup", "SELECT DISTINCT event_id FROM events")(lambda spark, sf_dir: windows.drain(windows.events_stream(spark, sf_dir).withWatermark("ts", "1 day").dropDuplicatesWithinWatermark(["event_id"]).select("event_id")))
-query("t_watermark_late")(lambda spark, sf_dir: windows.drain(windows.tumbling(windows.events_stream(spark, sf_dir).withWatermark("ts", "10 minutes"), "1 day").select("window.start", "event_type", "n")))
+query("t_watermark_late", "SELECT date_trunc('day', ts) AS start, event_type, count(*) AS n FROM events GROUP BY 1, 2 HAVING date_trunc('day', ts) + INTERVAL 1 DAY <= (SELECT max(ts) - INTERVAL 10 MINUTE FROM events)")(
+    lambda spark, sf_dir: windows.drain(windows.tumbling(windows.events_stream(spark, sf_dir).withWatermark("ts", "10 minutes"), "1 day").select("window.start", "event_type", "n")).withColumn("start", F.col("start").cast("timestamp_ntz"))
+)
 query("t_stream_static_join", "SELECT event_id, c_name FROM events JOIN customer ON user_id = c_custkey")(
     lambda spark, sf_dir: windows.drain(windows.events_stream(spark, sf_dir).join(table(spark, sf_dir, "customer"), F.col("user_id") == F.col("c_custkey")).select("event_id", "c_name"))
 )
@@ -156,28 +157,33 @@ def t_stream_stream_join(spark, sf_dir):
     return windows.drain(a.join(b, F.expr("ua = ub AND tb BETWEEN ta AND ta + INTERVAL 1 HOUR")).select("header", "part"))
 
 
-query("t_stateful_votes")(lambda spark, sf_dir: windows.drain(windows.open_studies(windows.events_stream(spark, sf_dir).withWatermark("ts", "1 hour"), 12 * 3600 * 1000)))
+_VOTED = f"""
+WITH s AS ({_SESS.format("SELECT * FROM events")}),
+study AS (SELECT user_id, sid, min(ts) AS start, max(ts) AS last, count(*) AS n FROM s GROUP BY 1, 2),
+kinds AS (SELECT user_id, sid, event_type, count(*) AS k FROM s GROUP BY 1, 2, 3),
+topped AS (SELECT *, max(k) OVER (PARTITION BY user_id, sid) AS top FROM kinds),
+decided AS (SELECT user_id, sid, CASE WHEN count(*) = 1 THEN min(event_type) END AS label FROM topped WHERE k = top GROUP BY 1, 2),
+newest AS (SELECT user_id, max(sid) AS newest FROM study GROUP BY 1)
+SELECT user_id, start, n, label FROM study JOIN decided USING (user_id, sid) JOIN newest USING (user_id)
+WHERE sid < newest OR epoch_ms(last) + 12 * 3600000 < (SELECT epoch_ms(max(ts)) - 3600000 FROM events)"""
+query("t_stateful_votes", _VOTED)(
+    lambda spark, sf_dir: windows.drain(windows.open_studies(windows.events_stream(spark, sf_dir).withWatermark("ts", "1 hour"), 12 * 3600 * 1000)).withColumn("start", F.col("start").cast("timestamp_ntz"))
+)
 query("t_foreach_batch", "SELECT event_type, count(*) AS n FROM events GROUP BY 1")(
-    lambda spark, sf_dir: windows.for_each_batch(windows.events_stream(spark, sf_dir), lambda df: df.groupBy("event_type").agg(F.count(F.lit(1)).alias("n")), _folder(spark, "batches")).groupBy("event_type").agg(F.sum("n").alias("n"))
+    lambda spark, sf_dir: windows.for_each_batch(windows.events_stream(spark, sf_dir), lambda df: df.groupBy("event_type").agg(F.count(F.lit(1)).alias("n")), fresh_path(spark, "batches")).groupBy("event_type").agg(F.sum("n").alias("n"))
 )
 query("t_drift", "SELECT date_trunc('day', ts) AS day, count(*) AS n, round(avg((event_type = 'error')::INT), 6) AS error_rate FROM events GROUP BY 1")(
     lambda spark, sf_dir: windows.drain(windows.events_stream(spark, sf_dir).groupBy(F.window("ts", "1 day")).agg(F.count(F.lit(1)).alias("n"), r6(F.avg((F.col("event_type") == "error").cast("int"))).alias("error_rate")), "complete").select(F.col("window.start").cast("timestamp_ntz").alias("day"), "n", "error_rate")
 )
 
 
-def _folder(spark, name: str) -> str:
-    """A fresh path in the shared folder."""
-    base = spark.sparkContext.getConf().get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="studymap-")
-    return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
-
-
 # Sources and sinks.
 both("s_parquet_scan", "SELECT p_partkey, p_size FROM part WHERE p_size >= 40")(lambda t: t("part").where("p_size >= 40").select("p_partkey", "p_size"))
 
 
 @query("s_csv_roundtrip", orders_sql("SELECT keyword, label FROM keyword_ref"))
 def s_csv_roundtrip(spark, sf_dir):
-    path = _folder(spark, "catalogue")
+    path = fresh_path(spark, "catalogue")
     orders.keyword_ref(spark, sf_dir).coalesce(1).write.csv(path, header=True)
     return spark.read.schema("keyword string, label string").csv(path, header=True)
 
@@ -190,7 +196,7 @@ def s_json_config(spark, sf_dir):
 
 @query("s_partitioned_sink", "SELECT event_id, event_type FROM events")
 def s_partitioned_sink(spark, sf_dir):
-    path = _folder(spark, "by-type")
+    path = fresh_path(spark, "by-type")
     x = table(spark, sf_dir, "events").select("event_id", "event_type")
     x.write.partitionBy("event_type").parquet(path)
     x.where("event_type = 'error'").write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("event_type").parquet(path)
@@ -199,14 +205,14 @@ def s_partitioned_sink(spark, sf_dir):
 
 @query("s_orc", "SELECT n_nationkey, n_name FROM nation")
 def s_orc(spark, sf_dir):
-    path = _folder(spark, "orc")
+    path = fresh_path(spark, "orc")
     table(spark, sf_dir, "nation").select("n_nationkey", "n_name").write.orc(path)
     return spark.read.orc(path)
 
 
 @query("s_text")
 def s_text(spark, sf_dir):
-    path = _folder(spark, "text")
+    path = fresh_path(spark, "text")
     table(spark, sf_dir, "nation").select(F.col("n_name").alias("value")).write.text(path)
     return spark.read.text(path)
 

@@ -8,8 +8,9 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions import images
-from ..functions.portable import MICRO, P, permille, stream
-from ..operators import calibrate, evaluate, keywords, network, sampling, simulate
+from ..functions.lineage import cut
+from ..functions.portable import MICRO, P, beta_knots, knot_lookup, permille, stream
+from ..operators import calibrate, evaluate, keywords, network, sampling, simulate, word_odds
 from ..sources.embeddings import scored
 from . import query, table
 
@@ -75,16 +76,60 @@ of_scored("m_risk_coverage", _APPLIED + ", th AS (SELECT i / 20.0::DOUBLE AS thr
     lambda s: calibrate.risk_coverage(calibrate.apply(s)).select("threshold", r6("coverage").alias("coverage"), r6("accuracy").alias("accuracy"))
 )
 
+# The two binary label columns: word evidence, calibrated on one tenth of the documents and measured on another.
+_USUAL = f"{word_odds.PRIOR}::DOUBLE * n / all_n"
+_ODDS = f"round(1000000 * (ln(({{0}} + {_USUAL}) / (all_{{0}} + {word_odds.PRIOR}::DOUBLE)) - ln((n - {{0}} + {_USUAL}) / (all_n - all_{{0}} + {word_odds.PRIOR}::DOUBLE))))::BIGINT AS w_{{0}}"
+_BASE = "round(1000000 * ln((all_{0} + 1)::DOUBLE / (all_n - all_{0} + 1)))::BIGINT AS b_{0}"
+_W2B = f"""
+WITH lab AS (SELECT doc_id, quality, toxic, text FROM labels JOIN documents USING (doc_id) WHERE text IS NOT NULL AND quality IS NOT NULL AND toxic IS NOT NULL),
+words AS (SELECT DISTINCT doc_id, quality, toxic, unnest(string_split_regex(lower(text), '[^a-zà-ÿß]+')) AS word FROM lab),
+counted AS (SELECT word, count(*) AS n, sum(quality)::BIGINT AS quality, sum(toxic)::BIGINT AS toxic FROM words WHERE doc_id % 10 < 8 AND word <> '' GROUP BY word),
+total AS (SELECT count(*) AS all_n, sum(quality)::BIGINT AS all_quality, sum(toxic)::BIGINT AS all_toxic FROM lab WHERE doc_id % 10 < 8),
+odds AS (SELECT word, {_ODDS.format("quality")}, {_ODDS.format("toxic")} FROM counted, total),
+base AS (SELECT {_BASE.format("quality")}, {_BASE.format("toxic")} FROM total),
+sums AS (SELECT doc_id, sum(w_quality) AS quality, sum(w_toxic) AS toxic FROM words JOIN odds USING (word) WHERE doc_id % 10 >= 8 GROUP BY doc_id),
+judged AS (SELECT doc_id, u.network, CASE WHEN u.network = 'quality' THEN lab.quality ELSE lab.toxic END AS truth_idx, [0.0::DOUBLE, (CASE WHEN u.network = 'quality' THEN coalesce(sums.quality, 0) + b_quality ELSE coalesce(sums.toxic, 0) + b_toxic END)::DOUBLE / 1000000] AS logits
+  FROM lab LEFT JOIN sums USING (doc_id), base, (VALUES ('quality'), ('toxic')) u(network) WHERE doc_id % 10 >= 8),
+scored AS (SELECT * FROM judged WHERE doc_id % 10 = 8)
+{_CURVE},
+fitted AS (SELECT network, temperature FROM (SELECT *, row_number() OVER (PARTITION BY network ORDER BY round(ece, 9), round(abs(ln(temperature)), 9), temperature) AS r FROM cv) WHERE r = 1),
+told AS (SELECT network, temperature, {_HIT} AS hit, {_conf()} AS c1, {_conf("temperature")} AS c2 FROM judged JOIN fitted USING (network) WHERE doc_id % 10 = 9),
+before AS (SELECT network, sum(abs(h - c)) / sum(n) AS ece FROM (SELECT network, count(*) AS n, sum(hit) AS h, sum(c1) AS c FROM told GROUP BY network, {_BIN.format("c1")}) GROUP BY network),
+after AS (SELECT network, sum(abs(h - c)) / sum(n) AS ece FROM (SELECT network, count(*) AS n, sum(hit) AS h, sum(c2) AS c FROM told GROUP BY network, {_BIN.format("c2")}) GROUP BY network)
+SELECT network, count(*) AS n, round(min(temperature), 6) AS temperature, round(avg(hit), 6) AS accuracy, round(min(before.ece), 6) AS ece_before, round(min(after.ece), 6) AS ece_after
+FROM told JOIN before USING (network) JOIN after USING (network) GROUP BY network"""
+
+
+@query("w2b_binary_calibration", _W2B)
+def w2b_binary_calibration(spark, sf_dir):
+    """labels.quality and labels.toxic by word evidence: accuracy, and calibration error before and after the temperature that another tenth of the documents gives."""
+    docs = table(spark, sf_dir, "labels").join(table(spark, sf_dir, "documents").select("doc_id", "text"), "doc_id")
+    names = ("quality", "toxic")
+    scored_ = word_odds.scored(docs, F.col("doc_id") % 10 < 8, names).persist()
+    fitted = calibrate.fit(scored_.where("doc_id % 10 = 8")).select("network", "temperature")
+    told = scored_.where("doc_id % 10 = 9").join(F.broadcast(fitted), "network")
+    plain_ = calibrate.ece(calibrate.apply(told), ["network", "temperature"]).withColumnRenamed("ece", "ece_before")
+    fixed = calibrate.ece(calibrate.apply(told, F.col("temperature")), ["network"]).select("network", F.col("ece").alias("ece_after"))
+    right = calibrate.apply(told).groupBy("network").agg(F.avg("hit").alias("accuracy"))
+    x = plain_.join(fixed, "network").join(right, "network").select("network", "n", *(r6(c).alias(c) for c in ("temperature", "accuracy", "ece_before", "ece_after")))
+    out = cut(x)
+    scored_.unpersist()
+    return out
+
+
 # Simulation, keyed by order numbers so that the oracle has the same pseudo-studies.
 
 
 def _sim_sql(alpha, k, mode, weight="confidence"):
-    at = {0.25: 1, 0.5: 2, 0.75: 3}[alpha]
+    if alpha in simulate.ORDER_STATISTIC:
+        c = f"list_sort([u0, u1, u2])[{simulate.ORDER_STATISTIC[alpha] + 1}] * {MICRO} // {P}"
+    else:
+        c = knot_lookup(f"({beta_knots(alpha)})", "u0")
     u = ", ".join(f"{stream(f'((study * {k} + s) * 5 + {j})', 17)} AS u{j}" for j in range(5))
     wrong = "1" if mode == "correlated" else "1 + u4 % 11"
     return (
         f"SELECT {alpha}::DOUBLE AS alpha, {k} AS k, '{mode}' AS mode, study, s, c, CASE WHEN u3 * {MICRO} // {P} < c THEN 0 ELSE {wrong} END AS label, {'c' if weight == 'confidence' else MICRO} AS w "
-        f"FROM (SELECT *, list_sort([u0, u1, u2])[{at}] * {MICRO} // {P} AS c FROM (SELECT o_orderkey AS study, s, {u} FROM (SELECT o_orderkey, o_orderkey AS study, s FROM orders, unnest(range(0, {k})) AS q(s))))"
+        f"FROM (SELECT *, {c} AS c FROM (SELECT o_orderkey AS study, s, {u} FROM (SELECT o_orderkey, o_orderkey AS study, s FROM orders, unnest(range(0, {k})) AS q(s))))"
     )
 
 
@@ -106,15 +151,22 @@ def _rounded(x):
 
 for _name, _a, _k, _m, _w in (("m_sim_uncorr", 0.5, 3, "uncorrelated", "confidence"), ("m_sim_corr", 0.5, 3, "correlated", "confidence"), ("m_sim_unit", 0.5, 2, "uncorrelated", "unit"), ("m_beta_order_stat", 0.25, 1, "uncorrelated", "confidence")):
     query(_name, _sim_result(_sim_sql(_a, _k, _m, _w)))(lambda spark, sf_dir, p=(_a, _k, _m, _w): _rounded(simulate.run(_order_studies(spark, sf_dir), *p)))
-_CELLS = [(a, k, m) for a in (0.25, 0.5, 0.75) for k in (1, 2, 5) for m in ("uncorrelated", "correlated")]
-query("m_sim_sweep", _sim_result(" UNION ALL ".join(_sim_sql(*c) for c in _CELLS)))(lambda spark, sf_dir: _rounded(simulate.sweep(_order_studies(spark, sf_dir), (0.25, 0.5, 0.75), (1, 2, 5))))
+_ALPHAS, _KS = (0.1, 0.25, 0.5, 0.75, 0.9), (1, 2, 3, 5, 10)
+query("m_sim_sweep", _sim_result(" UNION ALL ".join(_sim_sql(a, k, m) for a in _ALPHAS for k in _KS for m in simulate.MODES)))(lambda spark, sf_dir: _rounded(simulate.grid(_order_studies(spark, sf_dir), _ALPHAS, _KS)))
 query("m_sim_accuracy", f"WITH v AS ({_sim_sql(0.5, 5, 'uncorrelated')}) SELECT round(avg((label = 0)::INT), 6) AS hit_rate FROM v")(
     lambda spark, sf_dir: simulate.check_calibrated(_order_studies(spark, sf_dir), 0.5, 5).select(r6("hit_rate").alias("hit_rate"))
 )
 query("m_sim_ece", f"WITH v AS ({_sim_sql(0.5, 5, 'uncorrelated')}), b AS (SELECT {_BIN.format('c / 1000000.0')} AS bin, count(*) AS n, avg((label = 0)::INT) AS a, avg(c / 1000000.0) AS c FROM v GROUP BY 1) SELECT round(sum(n * abs(a - c)) / sum(n), 6) AS ece FROM b")(
     lambda spark, sf_dir: simulate.check_calibrated(_order_studies(spark, sf_dir), 0.5, 5).select(r6("ece").alias("ece"))
 )
-query("w6_million")(lambda spark, sf_dir: _rounded(simulate.run(simulate.studies(spark, 1_000_000, 16), 0.5, 2)))
+
+
+@query("w6_million")
+def w6_million(spark, sf_dir):
+    """A million pseudo-studies in every cell of the sweep, with the deviation over a hundred batches of ten thousand."""
+    x = simulate.grid(simulate.studies(spark, 1_000_000, 16), _ALPHAS, _KS, batches=100)
+    return x.select("alpha", "k", "mode", "n", *(r6(c).alias(c) for c in ("accuracy", "sd_study", "sd_mean", "sd_batches")))
+
 
 # Images: each embedding is an 8x8 picture or a 4x4x4 volume.
 _IMG = "WITH img AS (SELECT vec_id, list_transform(embedding, lambda v: v::DOUBLE) AS d FROM embeddings), cells AS (SELECT vec_id, k, {} AS v FROM img, unnest(range(0, {})) AS u(k)) SELECT vec_id, string_agg(round(v * 1000000)::BIGINT::VARCHAR, ',' ORDER BY k) AS data FROM cells GROUP BY vec_id"

@@ -129,6 +129,17 @@ def test_inline_decision_equals_votes(spark):
     assert inline == {r["study_id"]: int(r["label"]) for r in votes.decide(flat).collect()}
 
 
+def test_grid_equals_single_cells(spark):
+    s = simulate.studies(spark, 3000, 4)
+    got = {(r["alpha"], r["k"], r["mode"]): r for r in simulate.grid(s, (0.1, 0.25, 0.5, 0.75), (1, 3), weight="unit", batches=10).collect()}
+    assert len(got) == 16
+    for (a, k, m), r in got.items():
+        one = simulate.run(s, a, k, m, "unit").first()
+        assert (r["n"], round(r["accuracy"], 9)) == (one["n"], round(one["accuracy"], 9))
+        assert 0 < r["sd_batches"] < 0.1
+
+
+
 def test_beta_law():
     assert abs(incomplete_beta(2, 2, 0.3) - (3 * 0.3**2 - 2 * 0.3**3)) < 1e-12
     assert abs(incomplete_beta(1, 3, 0.2) - (1 - 0.8**3)) < 1e-12

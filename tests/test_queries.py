@@ -25,7 +25,7 @@ def plain(v):
         return str(v).replace(" 00:00:00", "")
 
 
-@pytest.mark.parametrize("name", ["m_layer1_code", "m_layer3_partial", "m_rules_conditional", "m_majority", "m_cascade", "m_hybrid_h1", "m_cascade_calibrated", "m_votes_from_logits", "m_network_infer", "w10_overload", "b_random_guess", "w1c_log_odds", "w9_geography", "m_temp_fit_ece", "m_sim_corr", "m_img_mip", "a_tag_error", "g_rollup", "w_islands", "t_session", "w3_page_layers"])
+@pytest.mark.parametrize("name", ["m_layer1_code", "m_layer3_partial", "m_rules_conditional", "m_majority", "m_cascade", "m_hybrid_h1", "m_cascade_calibrated", "m_votes_from_logits", "m_network_infer", "w10_overload", "b_random_guess", "w1c_log_odds", "w9_geography", "m_temp_fit_ece", "m_sim_corr", "m_sim_sweep", "w2b_binary_calibration", "m_img_mip", "a_tag_error", "g_rollup", "w_islands", "t_session", "t_watermark_late", "t_stateful_votes", "t_stream_stream_join", "w3_page_layers"])
 def test_query_equals_oracle(spark, small, name):
     q = registry()[name]
     df = q.run(spark, small)
