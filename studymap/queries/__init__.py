@@ -8,7 +8,7 @@ from typing import NamedTuple
 
 from pyspark.sql import DataFrame, SparkSession
 
-MODULES = ("orders_q", "models_q", "network_q", "generic_q", "corpora_q")
+MODULES = ("orders_q", "models_q", "heads_q", "network_q", "generic_q", "corpora_q")
 
 
 class Query(NamedTuple):

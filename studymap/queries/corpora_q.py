@@ -86,36 +86,6 @@ def leaks(docs, passages):
 
 
 both("w11_leakage", "SELECT DISTINCT doc_id FROM documents d JOIN benchmark b ON contains(d.text, b.text)")(lambda t: leaks(t("documents"), t("benchmark").select(F.col("text").alias("passage"))))
-_GUESS = "CASE WHEN text LIKE '%ción%' THEN 'es' WHEN text LIKE '%lich%' THEN 'de' WHEN text LIKE '%eau%' THEN 'fr' ELSE 'en' END"
-_NOISE = f"CASE WHEN {stream('doc_id', 61)} % 100 < noise THEN (['de', 'en', 'es', 'fr'])[{stream('doc_id', 62)} % 4 + 1] ELSE lang END"
-
-
-@query("w12_label_noise", f"SELECT noise, round(avg((({_GUESS}) = ({_NOISE}))::INT), 6) AS accuracy FROM documents, unnest([0, 5, 10, 20]) AS u(noise) GROUP BY noise")
-def w12_label_noise(spark, sf_dir):
-    """Agreement of a fixed rule with labels of which a share was moved; no model is trained."""
-    x = table(spark, sf_dir, "documents").withColumn("noise", F.explode(F.array(*map(F.lit, (0, 5, 10, 20))))).withColumn("guess", F.expr(_GUESS))
-    moved = F.element_at(F.array(*map(F.lit, texts.LANGS)), F.expr(f"cast({stream('doc_id', 62)} % 4 + 1 as int)"))
-    label = F.when(F.expr(f"{stream('doc_id', 61)} % 100") < F.col("noise"), moved).otherwise(F.col("lang"))
-    return x.groupBy("noise").agg(r6(F.avg((F.col("guess") == label).cast("int"))).alias("accuracy"))
-
-
-both("w14_class_sizes", f"SELECT lang, count(*) AS n, round(avg((({_GUESS}) = lang)::INT), 6) AS accuracy FROM documents GROUP BY lang")(
-    lambda t: t("documents").groupBy("lang").agg(F.count(F.lit(1)).alias("n"), r6(F.avg((F.expr(_GUESS) == F.col("lang")).cast("int"))).alias("accuracy"))
-)
-
-
-@query("w13_learning_curve")
-def w13_learning_curve(spark, sf_dir):
-    from ..operators import network
-    from .models_q import _documents
-
-    out = None
-    for cap in (25, 50, 100):
-        x = _documents(spark, sf_dir, 3, cap)
-        model = network.fit_head(x.where("trains AND fold <> 0"), iterations=10)
-        p = network.predict(model, x.where("fold = 0")).agg(F.lit(cap).alias("cap"), F.avg((F.col("class_id") == F.col("predicted")).cast("int")).alias("accuracy"))
-        out = p if out is None else out.unionByName(p)
-    return out
 
 
 # Events: arrival window and sessions.

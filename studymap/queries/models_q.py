@@ -2,15 +2,15 @@
 
 from __future__ import annotations
 
-from pyspark.ml.feature import HashingTF
-from pyspark.ml.functions import vector_to_array
-from pyspark.sql import Window as W
+import numpy as np
+import pandas as pd
 from pyspark.sql import functions as F
 
 from ..functions import images
 from ..functions.lineage import cut
 from ..functions.portable import MICRO, P, beta_knots, knot_lookup, permille, stream
-from ..operators import calibrate, evaluate, keywords, network, sampling, simulate, word_odds
+from ..functions.text import checked_broadcast
+from ..operators import calibrate, evaluate, keywords, network, sampling, simulate, word_heads, word_odds
 from ..sources.embeddings import scored
 from . import query, table
 
@@ -218,10 +218,6 @@ query("m_split", f"SELECT doc_id, CASE WHEN {stream('doc_id', 2)} % 100 < 80 THE
 )
 _FOLD = f"SELECT doc_id, lang, text, ((row_number() OVER (PARTITION BY lang ORDER BY {stream('doc_id', 3)}, doc_id) - 1) % 5)::INT AS fold FROM documents"
 query("m_folds", f"SELECT doc_id, lang, fold FROM ({_FOLD})")(lambda spark, sf_dir: sampling.folds(table(spark, sf_dir, "documents").select("doc_id", "lang"), "lang", "doc_id"))
-_GUESS = "CASE WHEN {0} LIKE '%ción%' THEN 'es' WHEN {0} LIKE '%lich%' THEN 'de' WHEN {0} LIKE '%eau%' THEN 'fr' ELSE 'en' END".format("text")
-query("a_cv_ci", f"SELECT round(avg(acc), 6) AS accuracy, round(avg(acc) - {evaluate.T_FOUR} * stddev_samp(acc) / sqrt(5), 6) AS lo, round(avg(acc) + {evaluate.T_FOUR} * stddev_samp(acc) / sqrt(5), 6) AS hi FROM (SELECT fold, avg(({_GUESS} = lang)::INT) AS acc FROM ({_FOLD}) GROUP BY fold)")(
-    lambda spark, sf_dir: evaluate.t_interval(sampling.folds(table(spark, sf_dir, "documents").select("doc_id", "lang", F.expr(_GUESS).alias("guess")), "lang", "doc_id").groupBy("fold").agg(F.avg((F.col("guess") == F.col("lang")).cast("int")).alias("acc")), [])
-)
 query("m_select_best", "SELECT * FROM (VALUES ('CR', 'dense', 0.971::DOUBLE), ('CT', 'dense', 0.877), ('MRI', 'dense', 0.854), ('US', 'dense', 0.814), ('XA', 'residual', 0.835)) v(modality, network, accuracy)")(
     lambda spark, sf_dir: network.select_best(spark.createDataFrame([(m, n, a) for m, d, r in (("CR", 0.971, 0.965), ("CT", 0.877, 0.846), ("MRI", 0.854, 0.802), ("US", 0.814, 0.79), ("XA", 0.812, 0.835)) for n, a in (("dense", d), ("residual", r))], "modality string, network string, accuracy double"))
 )
@@ -234,33 +230,53 @@ query("m_mil_pool", "SELECT user_id AS study_id, round(avg(value), 6) AS mean_va
 )
 
 
+def gram_shares(text: str, n: int, size: int, block: int = 1 << 20) -> np.ndarray:
+    """Square roots of the shares of hashed character n-grams; a text shorter than n is one gram. Very long texts are counted block by block."""
+    codes = np.frombuffer(text.encode("utf-32-le", "surrogatepass"), dtype="<u4").astype(np.uint64)
+    codes = np.pad(codes, (0, max(0, n - len(codes))))
+    out = np.zeros(size)
+    for at in range(0, len(codes) - n + 1, block):
+        part = codes[at : at + block + n - 1]
+        h = np.zeros(len(part) - n + 1, dtype=np.uint64)
+        for j in range(n):
+            h = (h ^ part[j : j + len(h)]) * np.uint64(0x9E3779B97F4A7C15)
+            h ^= h >> np.uint64(32)
+        out += np.bincount((h % np.uint64(size)).astype(np.int64), minlength=size)
+    return np.sqrt(out / out.sum())
+
+
 def char_grams(docs, n: int, size: int = 512):
-    """Frozen features: shares of hashed character n-grams of the whole text."""
-    # The one-element array splits a text into characters once; positions in an array take no walk through the text.
-    grams = F.flatten(F.transform(F.array(F.split("text", "")), lambda c: F.transform(F.sequence(F.lit(1), F.greatest(F.size(c) - n + 1, F.lit(1))), lambda i: F.array_join(F.slice(c, i, n), ""))))
-    x = HashingTF(numFeatures=size, inputCol="g", outputCol="tf").transform(docs.withColumn("g", grams)).withColumn("tf", vector_to_array("tf"))
-    total = F.aggregate("tf", F.lit(0.0), lambda a, v: a + v)
-    return x.withColumn("x", F.transform("tf", lambda v: F.sqrt(v / total))).drop("g", "tf", "text")
+    """Frozen features x of whole texts, by `gram_shares` in Arrow batches; text goes."""
+
+    @F.pandas_udf("array<double>")
+    def shares(texts: pd.Series) -> pd.Series:
+        return texts.map(lambda t: gram_shares(t, n, size))
+
+    return docs.withColumn("x", shares("text")).drop("text")
 
 
 def cross_validate(features, folds: int = 5):
     """(doc_id, fold, class_id, predicted): every document of fold f is predicted by a head trained on the training documents of the others."""
     out = None
-    training = features.where("trains").persist()
+    training = features.where("trains").repartition(1).persist()  # the cap bounds it
     for f in range(folds):
         model = network.fit_head(training.where(F.col("fold") != f), iterations=15)
         p = network.predict(model, features.where(F.col("fold") == f)).select("doc_id", "fold", "modality", "class_id", "predicted")
         out = p if out is None else out.unionByName(p)
+    training.unpersist()
     return out
 
 
-def _documents(spark, sf_dir, n, cap=200, by=("lang",)):
-    """Features of every document, its fold, and whether it trains: the other four folds hold at most `cap` training documents of a class (by `by`); the cap never cuts what is evaluated."""
+def _documents(spark, sf_dir, n, cap=200, by=("class_id",)):
+    """Features of every document, its fold, and whether it trains: the other four folds hold at most `cap` training documents of a class (by `by`); the cap never cuts what is evaluated.
+
+    The features are written once: fits and predictions read 512 numbers a document, not its text.
+    """
     docs = table(spark, sf_dir, "documents").where("text is not null").select("doc_id", "text", "lang", "source")
     docs = docs.withColumn("modality", F.concat(F.lit("m"), F.regexp_extract("source", r"(\d+)", 1).cast("int") % 5)).drop("source")
     docs = sampling.folds(docs, "lang", "doc_id").withColumn("class_id", (F.array_position(F.array(*map(F.lit, ("de", "en", "es", "fr"))), F.col("lang")) - 1).cast("int"))
-    order = W.partitionBy("fold", *by).orderBy(F.expr(stream("doc_id", 1)), "doc_id")
-    return char_grams(docs.withColumn("trains", F.row_number().over(order) <= cap // 4), n)
+    trains = word_heads.training_rows(docs, cap, by).select("doc_id", F.lit(True).alias("_t"))
+    return cut(char_grams(docs.join(checked_broadcast(trains), "doc_id", "left").withColumn("trains", F.coalesce("_t", F.lit(False))).drop("_t"), n))
 
 
 @query("m_cv")
@@ -286,9 +302,11 @@ def b_two_nets(spark, sf_dir):
 @query("m_head_fit")
 def m_head_fit(spark, sf_dir):
     """One head per pseudo-modality, trained on at most 200 documents per class of four folds; accuracy of each over every document of the fifth."""
-    x = _documents(spark, sf_dir, 3, by=("lang", "modality"))
-    out = None
-    for name, model in network.fit_heads(x.where("trains AND fold <> 0").persist(), iterations=8).items():
+    x = _documents(spark, sf_dir, 3, by=("class_id", "modality"))
+    training = x.where("trains AND fold <> 0").repartition(1).persist()  # the cap bounds it
+    models, out = network.fit_heads(training, iterations=8), None
+    training.unpersist()
+    for name, model in models.items():
         p = network.predict(model, x.where((F.col("modality") == name) & (F.col("fold") == 0))).agg(F.lit(name).alias("modality"), F.avg((F.col("class_id") == F.col("predicted")).cast("int")).alias("accuracy"))
         out = p if out is None else out.unionByName(p)
     return out

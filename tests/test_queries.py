@@ -25,7 +25,7 @@ def plain(v):
         return str(v).replace(" 00:00:00", "")
 
 
-@pytest.mark.parametrize("name", ["m_layer1_code", "m_layer3_partial", "m_rules_conditional", "m_majority", "m_cascade", "m_hybrid_h1", "m_cascade_calibrated", "m_votes_from_logits", "m_network_infer", "w10_overload", "b_random_guess", "w1c_log_odds", "w9_geography", "m_temp_fit_ece", "m_sim_corr", "m_sim_sweep", "w2b_binary_calibration", "m_img_mip", "a_tag_error", "g_rollup", "w_islands", "t_session", "t_watermark_late", "t_stateful_votes", "t_stream_stream_join", "w3_page_layers"])
+@pytest.mark.parametrize("name", ["a_cv_ci", "w12_label_noise", "w13_learning_curve", "w14_class_sizes", "m_layer1_code", "m_layer3_partial", "m_rules_conditional", "m_majority", "m_cascade", "m_hybrid_h1", "m_cascade_calibrated", "m_votes_from_logits", "m_network_infer", "w10_overload", "b_random_guess", "w1c_log_odds", "w9_geography", "m_temp_fit_ece", "m_sim_corr", "m_sim_sweep", "w2b_binary_calibration", "m_img_mip", "a_tag_error", "g_rollup", "w_islands", "t_session", "t_watermark_late", "t_stateful_votes", "t_stream_stream_join", "w3_page_layers"])
 def test_query_equals_oracle(spark, small, name):
     q = registry()[name]
     df = q.run(spark, small)
@@ -138,3 +138,26 @@ def test_training_cap_does_not_cut_what_is_evaluated(spark, tmp_path):
         for lang, n in (("en", 600), ("de", 300)):
             assert sum(r["trains"] and r["fold"] != f and r["lang"] == lang for r in x) == 200
             assert sum(r["fold"] == f and r["lang"] == lang for r in x) == n // 5
+
+
+def test_word_heads_defined_on_odd_texts(spark):
+    """Null texts are left out, empty ones get the largest class; a word of one class decides; what a fold holds never trains for it."""
+    from studymap.operators import word_heads
+
+    rows = [(i, "alpha alpha" if i % 3 else "beta", i % 5, int(i % 3 == 0)) for i in range(60)] + [(60, None, 0, 0), (61, "", 0, 0), (62, "only", 1, 1), (63, "only", 1, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, fold int, class_id int")
+    training = word_heads.training_rows(docs, 400)
+    assert training.where("class_id is null").count() == 0 and training.count() == 63
+    told = {(r["doc_id"], r["setting"]): r["predicted"] for r in word_heads.judged(docs, training.withColumn("setting", F.explode(F.array(F.lit(0), F.lit(1)))), 2, 2, weighted=(1,)).collect()}
+    assert len(told) == 63 * 2 and (60, 0) not in told
+    assert all(told[i, s] == int(i % 3 == 0) for i in range(60) for s in (0, 1))
+    assert told[61, 0] == told[61, 1] == told[62, 0] == 0
+
+
+def test_gram_shares_do_not_depend_on_blocks():
+    from studymap.queries.models_q import gram_shares
+
+    text = "straße und \U0001f600 wörter " * 40
+    assert abs(gram_shares(text, 3, 512) - gram_shares(text, 3, 512, block=7)).max() == 0
+    for t in ("", "a", "ab"):
+        assert gram_shares(t, 3, 64).sum() == 1
