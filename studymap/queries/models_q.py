@@ -11,6 +11,7 @@ from ..functions.lineage import cut
 from ..functions.portable import MICRO, P, beta_knots, knot_lookup, permille, stream
 from ..functions.text import checked_broadcast
 from ..operators import calibrate, evaluate, keywords, network, sampling, simulate, word_heads, word_odds
+from ..sources import texts
 from ..sources.embeddings import scored
 from . import query, table
 
@@ -310,3 +311,22 @@ def m_head_fit(spark, sf_dir):
         p = network.predict(model, x.where((F.col("modality") == name) & (F.col("fold") == 0))).agg(F.lit(name).alias("modality"), F.avg((F.col("class_id") == F.col("predicted")).cast("int")).alias("accuracy"))
         out = p if out is None else out.unionByName(p)
     return out
+
+
+@query("m_mil_fit")
+def m_mil_fit(spark, sf_dir):
+    """One head per pooling over bags: a document is the bag of its lines, pooled to their mean or maximum; fitted on at most 200 documents per class of four folds, accuracy over every document of the fifth that has a line."""
+    docs = table(spark, sf_dir, "documents").where("text is not null").select("doc_id", "lang")
+    docs = sampling.folds(docs, "lang", "doc_id").withColumn("class_id", (F.array_position(F.array(*map(F.lit, ("de", "en", "es", "fr"))), F.col("lang")) - 1).cast("int"))
+    trains = word_heads.training_rows(docs, 200).where("fold <> 0").select("doc_id", F.lit(True).alias("trains"))
+    keys = cut(docs.join(checked_broadcast(trains), "doc_id", "left").where("fold = 0 OR trains").select(F.col("doc_id").alias("study_id"), "class_id", F.coalesce("trains", F.lit(False)).alias("trains")))
+    lines = texts.document_series(spark, sf_dir).where("line <> ''").select(F.col("doc_id").alias("study_id"), F.col("line").alias("text"))
+    series = char_grams(lines.join(keys.select("study_id"), "study_id"), 3, size=64)
+    out = None
+    for pooling in ("max", "mean"):
+        # The steps of fit_mil, with the bags written in between: the fit reads them more than once.
+        bags = cut(network.mil_pool(series, pooling).join(keys, "study_id"))
+        model = network.fit_head(bags.where("trains").repartition(1), iterations=15)
+        p = network.predict(model, bags.where("NOT trains")).agg(F.lit(pooling).alias("pooling"), F.count(F.lit(1)).alias("n"), r6(F.avg((F.col("class_id") == F.col("predicted")).cast("int"))).alias("accuracy"))
+        out = p if out is None else out.unionByName(p)
+    return out

@@ -161,3 +161,11 @@ def test_gram_shares_do_not_depend_on_blocks():
     assert abs(gram_shares(text, 3, 512) - gram_shares(text, 3, 512, block=7)).max() == 0
     for t in ("", "a", "ab"):
         assert gram_shares(t, 3, 64).sum() == 1
+
+
+def test_bags_of_lines_are_judged_by_a_head_of_other_folds(spark, tmp_path):
+    rows = [(i, "\n".join([lang, word * 3, "", word]), lang) for i in range(150) for lang, word in [(("de", "lichung "), ("en", "thing of "), ("fr", "eaux "))[i % 3]]] + [(150, "\n\n", "de"), (151, None, "de")]
+    spark.createDataFrame([(*r, "src1") for r in rows], "doc_id long, text string, lang string, source string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r["pooling"]: (r["n"], r["accuracy"]) for r in registry()["m_mil_fit"].run(spark, str(tmp_path)).collect()}
+    assert set(got) == {"max", "mean"}
+    assert all(n in (30, 31) and accuracy == 1 for n, accuracy in got.values())
