@@ -8,7 +8,7 @@ from studymap.queries import registry
 from test_queries import TABLES, plain
 
 
-@pytest.mark.parametrize("name", ["a_published_counts", "m_select_best"])
+@pytest.mark.parametrize("name", ["a_published_counts", "m_select_best", "s_json_config"])
 def test_moved_query_equals_oracle(spark, small, name):
     q = registry()[name]
     con = duckdb.connect()
@@ -27,7 +27,7 @@ def geography(spark, folder, customers):
 
 def test_published_rates_follow_the_customers(spark, tmp_path):
     """Any 843 keys in a row give the published percentages; a key twice, a null key and an unknown nation count as the table says."""
-    run = lambda folder: {r["variant"]: r for r in registry()["a_published_counts", "m_select_best"].run(spark, f"{tmp_path}/{folder}").collect()}
+    run = lambda folder: {r["variant"]: r for r in registry()["a_published_counts", "m_select_best", "s_json_config"].run(spark, f"{tmp_path}/{folder}").collect()}
     geography(spark, f"{tmp_path}/cycle", [(k, k % 4) for k in range(1000, 1843)])
     got = run("cycle")
     assert set(got) == {"hybrid", "network", "importer"}
@@ -55,3 +55,12 @@ def test_best_head_follows_the_documents(spark, tmp_path):
     table_1 = [(m, n, a) for m, d, r in (("CR", 0.971, 0.965), ("CT", 0.877, 0.846), ("MRI", 0.854, 0.802), ("US", 0.814, 0.79), ("XA", 0.812, 0.835)) for n, a in (("dense", d), ("residual", r))]
     best = {r["modality"]: r["network"] for r in network.select_best(spark.createDataFrame(table_1, "modality string, network string, accuracy double")).collect()}
     assert best == {"CR": "dense", "CT": "dense", "MRI": "dense", "US": "dense", "XA": "residual"}
+
+
+def test_configuration_follows_the_parts(spark, tmp_path):
+    """Quotes, line ends, accents, blanks, nulls, negative and repeated keys survive the files."""
+    rows = [(1, 'a "b" \\ c', "PROMO", 3), (1, 'a "b" \\ c', "PROMO", 3), (99, "two\nlines\r\u2028", "", 25), (100, "gr\u00fcn, {x}: [y]", None, None), (-5, None, "SMALL", 24), (None, " ", "PROMO", 50), (2**62 + 1, "", "LARGE", 1), (2**62 + 2, "b", "LARGE", 1)]
+    spark.createDataFrame(rows, "p_partkey long, p_name string, p_type string, p_size int").write.parquet(f"{tmp_path}/part.parquet")
+    got = [tuple(r) for r in registry()["s_json_config"].run(spark, str(tmp_path)).collect()]
+    want = [(k, "core" if size is not None and size < 25 else "extended", "drop" if kind == "PROMO" else "relabel", kind, name) for k, name, kind, size in rows]
+    assert sorted(got, key=str) == sorted(want, key=str)
