@@ -8,7 +8,7 @@ from studymap.queries import registry
 from test_queries import TABLES, plain
 
 
-@pytest.mark.parametrize("name", ["a_published_counts", "m_select_best", "s_json_config"])
+@pytest.mark.parametrize("name", ["a_published_counts", "f_schema_of_json", "m_select_best", "s_json_config"])
 def test_moved_query_equals_oracle(spark, small, name):
     q = registry()[name]
     con = duckdb.connect()
@@ -27,7 +27,7 @@ def geography(spark, folder, customers):
 
 def test_published_rates_follow_the_customers(spark, tmp_path):
     """Any 843 keys in a row give the published percentages; a key twice, a null key and an unknown nation count as the table says."""
-    run = lambda folder: {r["variant"]: r for r in registry()["a_published_counts", "m_select_best", "s_json_config"].run(spark, f"{tmp_path}/{folder}").collect()}
+    run = lambda folder: {r["variant"]: r for r in registry()["a_published_counts", "f_schema_of_json", "m_select_best", "s_json_config"].run(spark, f"{tmp_path}/{folder}").collect()}
     geography(spark, f"{tmp_path}/cycle", [(k, k % 4) for k in range(1000, 1843)])
     got = run("cycle")
     assert set(got) == {"hybrid", "network", "importer"}
@@ -64,3 +64,17 @@ def test_configuration_follows_the_parts(spark, tmp_path):
     got = [tuple(r) for r in registry()["s_json_config"].run(spark, str(tmp_path)).collect()]
     want = [(k, "core" if size is not None and size < 25 else "extended", "drop" if kind == "PROMO" else "relabel", kind, name) for k, name, kind, size in rows]
     assert sorted(got, key=str) == sorted(want, key=str)
+
+
+def test_schemas_follow_the_events(spark, tmp_path):
+    """Every text counts under its own schema: more structures than one batch takes, numbers of any precision, nesting, nulls and texts that are not JSON."""
+    rows = [('{"k": 1}', "STRUCT<k: BIGINT>"), ('{"k": 20}', "STRUCT<k: BIGINT>"), ('{"k": -3}', "STRUCT<k: BIGINT>"), ('{"k": 1.5}', "STRUCT<k: DOUBLE>"), ('{"k": 0.125}', "STRUCT<k: DOUBLE>"), ('{"k": 1e3}', "STRUCT<k: DOUBLE>")]
+    rows += [('{"a": null, "b": {"c": ["x"], "d": true}}', "STRUCT<a: STRING, b: STRUCT<c: ARRAY<STRING>, d: BOOLEAN>>"), ("[1, 2]", "ARRAY<BIGINT>"), ("7", "BIGINT"), ("{}", "STRUCT<>"), (None, None), ("", None), ("{", None), ("no json", None)]
+    rows += [(f'{{"k{i:03}": "it\'s"}}', f"STRUCT<k{i:03}: STRING>") for i in range(120)]
+    spark.createDataFrame([(i, p) for i, (p, _) in enumerate(rows)], "event_id long, props string").write.parquet(f"{tmp_path}/events.parquet")
+    q = registry()["f_schema_of_json"]
+    got = {r["v"]: r["n"] for r in q.run(spark, str(tmp_path)).collect()}
+    assert got == {v: sum(w == v for _, w in rows) for _, v in rows}
+    con = duckdb.connect()
+    con.sql(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet/*.parquet'")
+    assert got == dict(con.sql(q.sql).fetchall())
